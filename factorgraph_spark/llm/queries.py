@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import license_scan, secret_scan
+from . import langid, license_scan, packing, secret_scan
 from .common import table
 
 
@@ -10,7 +10,9 @@ def queries() -> dict:
     docs = lambda f: lambda spark, sf_dir: f(table(spark, sf_dir, "documents"))
     return {
         "op1_license_scan": docs(license_scan.op1),
+        "op3_language_id": docs(langid.op3),
         "op6_secret_scan": docs(secret_scan.op6),
+        "op10_best_fit_packing": docs(packing.pack),
     }
 
 
