@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import langid, license_scan, packing, secret_scan
+from . import langid, license_scan, neardup, packing, secret_scan
 from .common import table
 
 
@@ -12,6 +12,7 @@ def queries() -> dict:
         "op1_license_scan": docs(license_scan.op1),
         "op3_language_id": docs(langid.op3),
         "op6_secret_scan": docs(secret_scan.op6),
+        "op9_near_duplicates": docs(neardup.op9),
         "op10_best_fit_packing": docs(packing.pack),
     }
 
