@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import langid, license_scan, neardup, packing, secret_scan
+from . import langid, license_scan, mixture, neardup, packing, secret_scan
 from .common import table
 
 
@@ -10,6 +10,7 @@ def queries() -> dict:
     docs = lambda f: lambda spark, sf_dir: f(table(spark, sf_dir, "documents"))
     return {
         "op1_license_scan": docs(license_scan.op1),
+        "op2_source_mixture": docs(mixture.op2),
         "op3_language_id": docs(langid.op3),
         "op6_secret_scan": docs(secret_scan.op6),
         "op9_near_duplicates": docs(neardup.op9),
