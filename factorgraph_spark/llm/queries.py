@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import langid, license_scan, mixture, neardup, packing, quality, secret_scan, url_filter, warc
+from . import ann, langid, license_scan, mixture, neardup, packing, quality, secret_scan, url_filter, warc
 from .common import table
 
 
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op1_license_scan": docs(license_scan.op1),
         "op2_source_mixture": docs(mixture.op2),
         "op3_language_id": docs(langid.op3),
+        "op4_permutation_index": lambda spark, sf_dir: ann.op4(table(spark, sf_dir, "embeddings")),
         "op5_quality_rules": lambda spark, sf_dir: quality.op5(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")),
         "op6_secret_scan": docs(secret_scan.op6),
         "op7_url_filter": pages(url_filter.op7),
