@@ -18,6 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 LONGEST = 32
 #: Labelled documents of the training sample, shared evenly among the languages.
@@ -281,5 +282,18 @@ def predict(docs: DataFrame, model: Model, *, doc_id: str = "doc_id", text: str
     return rows.mapInArrow(guess, f"id {kind}, lang_pred string, score double").withColumnRenamed("id", doc_id)
 
 
+def accept(docs: DataFrame, model: Model, *, text: str = "text", least: float = 0.5) -> DataFrame:
+    """The rows of docs whose language is determined with a score of at least ``least``; all columns stay, nothing is shuffled."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+
+    def sure(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        scorer = Scorer(shared.value)
+        for batch in batches:
+            texts = [t or "" for t in batch.to_pylist()]
+            yield pa.array([bool(len(logs)) and bool(_WORD.search(t)) and 1 / np.exp(logs - logs.max()).sum() >= least for t, logs in zip(texts, scorer.texts(texts))], pa.bool_())
+
+    return docs.where(F.arrow_udf(sure, T.BooleanType())(F.col(text)))
+
+
 def op3(docs: DataFrame) -> DataFrame:
     return predict(docs, train(docs)).select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")

@@ -118,42 +118,75 @@ def _nearest_cuts(docs: DataFrame, targets: DataFrame) -> DataFrame:
     return cut(chosen.select("cs", F.col("low").alias("cut"), "pu", (F.col("need") - F.col("off")).alias("less"), (F.col("need") + F.col("off")).alias("more")))
 
 
-def balance(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", source: str = "source", prior: Column | None = None, tilt: Column | None = None, weights=WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
-    """One row per input row: doc_id, size, source_size, target, rate, copies (0 to ``most``) and taken (copies times size).
-
-    prior and tilt are columns of docs (default: 1 for every document, which tilts all documents of a source alike). Null text has size 0
-    and is never taken; null is a source of its own; an empty table gives an empty result. Ties of hash are one group, so equal rows get
-    equal copies; reruns agree.
-    """
+def _measured(docs: DataFrame, doc_id: str, text: str, source: str, prior: Column | None, tilt: Column | None) -> DataFrame:
+    """docs with the struct m: source, size, prior, tilt and uniform (a number in [0, 1) from the id)."""
     one = F.lit(1.0)
-    rows = docs.select(
-        F.col(doc_id).alias("id"),
-        F.col(source).alias("source"),
-        token_count(F.col(text)).alias("size"),
-        (one if prior is None else prior.cast("double")).alias("prior"),
-        F.round((one if tilt is None else tilt.cast("double")) / TILT_STEP).alias("tilt"),
-        (F.shiftrightunsigned(F.xxhash64(F.col(doc_id).cast("string")), 12) / F.lit(2.0**52)).alias("uniform"),
+    return docs.withColumn(
+        MADE,
+        F.struct(
+            F.col(source).alias("source"),
+            token_count(F.col(text)).alias("size"),
+            (one if prior is None else prior.cast("double")).alias("prior"),
+            (one if tilt is None else F.round(tilt.cast("double") / TILT_STEP) * TILT_STEP).alias("tilt"),
+            (F.shiftrightunsigned(F.xxhash64(F.col(doc_id).cast("string")), 12) / F.lit(2.0**52)).alias("uniform"),
+        ),
     )
-    rows = cut(rows.withColumn("tilt", F.col("tilt") * TILT_STEP))
-    cells = cut(rows.groupBy("source", "prior", "tilt").agg(F.sum("size").alias("tokens")))
-    targets = cut(water_fill(cells.groupBy("source").agg(F.sum("tokens").alias("source_size")), weights=weights, share=share, most=most))
-    solved = multipliers(cells, targets)
-    tilted = _with_sources(rows, cut(solved.withColumnRenamed("source", "of")), "of")
+
+
+#: The one column that is added to a caller's table on the way.
+MADE = "_mixture"
+
+
+def _dealt(rows: DataFrame, solved: DataFrame, most: float) -> DataFrame:
+    """rows (source, size, prior, tilt, uniform) with rate, base, part and u. solved: a row per source with its multiplier."""
+    tilted = _with_sources(rows, solved.withColumnRenamed("source", "of"), "of")
     rate = F.least(F.col("prior") * F.exp(F.col("multiplier") * F.col("tilt")), F.lit(float(most)))
     near = F.round(rate)  # a rate that misses a whole number by rounding error is that number
     rate = F.when(F.abs(rate - near) < 1e-9, near).otherwise(rate)
     dealt = tilted.withColumn("rate", F.when(F.col("size") > 0, rate).otherwise(F.lit(0.0)))
     dealt = dealt.withColumn("base", F.floor("rate")).withColumn("part", F.col("rate") - F.col("base"))
     ratio = F.col("uniform") / F.col("part")
-    place = F.when(F.col("part") > 0, F.floor(ratio / (1 + ratio) * 2 ** (LEVELS * FAN_BITS)))
-    dealt = dealt.withColumn("u", place)
-    cuts = _nearest_cuts(dealt.select("source", "size", "base", "part", "u"), targets)
-    rows = _with_sources(_with_sources(dealt, cuts, "cs"), targets.withColumnRenamed("source", "ts"), "ts")
+    return dealt.withColumn("u", F.when(F.col("part") > 0, F.floor(ratio / (1 + ratio) * 2 ** (LEVELS * FAN_BITS))))
+
+
+def _copies(dealt: DataFrame, most: float) -> DataFrame:
     beyond = F.col("u").eqNullSafe(F.col("pu")) & ((F.col("size") == F.col("less")) | (F.col("size") == F.col("more")))
     copies = F.col("base") + F.when((F.col("part") > 0) & ((F.col("u") < F.col("cut")) | beyond), 1).otherwise(0)
-    rows = rows.withColumn("copies", F.least(copies, F.lit(int(most))).cast("int"))
+    return dealt.withColumn("copies", F.least(copies, F.lit(int(most))).cast("int"))
+
+
+def solve(rows: DataFrame, *, weights=WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
+    """A row per source: source_size, target, multiplier and the place of its cut. rows: source, size, prior, tilt, uniform."""
+    cells = cut(rows.groupBy("source", "prior", "tilt").agg(F.sum("size").alias("tokens")))
+    targets = cut(water_fill(cells.groupBy("source").agg(F.sum("tokens").alias("source_size")), weights=weights, share=share, most=most))
+    by_source = multipliers(cells, targets).withColumnRenamed("source", "ms")
+    solved = cut(targets.join(by_source, F.col("ms").eqNullSafe(F.col("source"))).drop("ms"))
+    dealt = _dealt(rows, solved.select("source", "multiplier"), most)
+    cuts = _nearest_cuts(dealt.select("source", "size", "base", "part", "u"), targets)
+    return cut(solved.join(cuts, F.col("cs").eqNullSafe(F.col("source")), "left").drop("cs"))
+
+
+def balance(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", source: str = "source", prior: Column | None = None, tilt: Column | None = None, weights=WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
+    """One row per input row: doc_id, size, source_size, target, rate, copies (0 to ``most``) and taken (copies times size).
+
+    prior and tilt are columns of docs (default: 1 for every document, which tilts all documents of a source alike). Null text has size 0
+    and is never taken; null is a source of its own; an empty table gives an empty result. Rows with equal ids are one group, so equal rows
+    get equal copies; reruns agree.
+    """
+    rows = cut(_measured(docs, doc_id, text, source, prior, tilt).select(F.col(doc_id).alias("id"), f"{MADE}.*"))
+    rows = _copies(_dealt(rows, solve(rows, weights=weights, share=share, most=most), most), most)
     return rows.select(F.col("id").alias(doc_id), "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).cast("long").alias("taken"))
 
 
+def mix(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", source: str = "source", weights=WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
+    """The mix itself: every row of docs as often as ``balance`` takes it. Texts are not shuffled; other columns stay as they are."""
+    measured = _measured(docs, doc_id, text, source, None, None)
+    solved = solve(cut(measured.select(f"{MADE}.*")), weights=weights, share=share, most=most)
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    rows = _measured(packed, f"row.{doc_id}", f"row.{text}", f"row.{source}", None, None).select("row", f"{MADE}.*")
+    taken = _copies(_dealt(rows, solved, most), most).where("copies > 0")
+    return taken.select("row", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("row.*")
+
+
 def op2(docs: DataFrame) -> DataFrame:
     return balance(docs).select("doc_id", "size", "source_size", "target", "taken")
