@@ -7,9 +7,10 @@
    them under a common key. At a similarity of 0.8 more differences than that have a probability below 1e-6.
 3. In a bucket every member is paired with one pivot (linear, never all pairs); pairs within the Hamming threshold are confirmed on whole
    sets, the best of each document first, and confirmed links give components.
-4. Completeness: a bucket that still spans several components is compared across them, in blocks of bounded size dealt over tasks; only
-   pairs within the Hamming threshold leave a task, are confirmed on whole sets, and join components. No candidate is capped: what the
-   rounds of best pairs leave is confirmed in the last round.
+4. Completeness: a bucket that still spans several components is compared across them, in blocks of bounded size dealt over tasks. Components
+   with a pair within the Hamming threshold form a cell. Within a cell, whole sets meet in blocks of bounded size, every pair within the
+   threshold whose components are still apart is confirmed, and what leaves a task is the links that join components: fewer than its
+   members. No candidate is capped or left out.
 
 Components use alternating star contractions on distributed edge tables; edges, sets and fingerprints never come to the driver.
 """
@@ -202,31 +203,89 @@ def components(edges: DataFrame) -> DataFrame:
         state = now
 
 
+class _Joined:
+    """Components that a task has joined so far."""
+
+    def __init__(self):
+        self.up: dict[int, int] = {}
+
+    def root(self, x: int) -> int:
+        while (y := self.up.get(x, x)) != x:
+            self.up[x] = x = self.up.get(y, y)
+        return x
+
+    def join(self, x: int, y: int) -> bool:
+        x, y = self.root(x), self.root(y)
+        self.up[max(x, y)] = min(x, y)
+        return x != y
+
+
+def _signs(column) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), dtype="<u2").reshape(-1, SYMBOLS)
+
+
 def _across(members: DataFrame, least: int) -> DataFrame:
-    """Pairs of a bucket's members (key, cid, comp, sig) in different components with at least so many equal symbols."""
+    """a, b: components that are to be compared, as far as they connect what a bucket's members (key, cid, comp, sig, n) span."""
     blocks = F.ceil(F.col("n") / BLOCK).cast("int")
     own = F.pmod(F.xxhash64("cid"), F.col("blocks")).cast("int")
     dealt = members.withColumn("blocks", blocks).withColumn("own", own)
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "cid", "comp", "sig")
+    dealt = dealt.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "comp", "sig")
 
     def compare(group: pa.Table) -> pa.Table:
-        cid, comp, own = (group.column(c).to_numpy() for c in ("cid", "comp", "own"))
-        sig = np.frombuffer(b"".join(group.column("sig").to_pylist()), dtype="<u2").reshape(-1, SYMBOLS)
-        i, j = group.column("i")[0].as_py(), group.column("j")[0].as_py()
-        names, of, sizes = np.unique(comp, return_inverse=True, return_counts=True)
-        minor = np.flatnonzero(of != sizes.argmax())  # every pair across components has a member outside the largest one
-        found = []
-        for k in minor.tolist():
-            near = np.flatnonzero((of != of[k]) & ((own != own[k]) | (i == j)))
-            if len(near):
-                m = (sig[near] == sig[k]).sum(axis=1)
-                good = m >= least
-                found += [(min(cid[k], c), max(cid[k], c), x) for c, x in zip(cid[near[good]].tolist(), m[good].tolist())]
-        a, b, m = zip(*set(found)) if found else ((), (), ())
-        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "m": pa.array(m, pa.int32())})
-
-    return dealt.groupBy("key", "i", "j").applyInArrow(compare, "a long, b long, m int").distinct()
+        comp, sig = group.column("comp").to_numpy(), _signs(group.column("sig"))
+        _, of, sizes = np.unique(comp, return_inverse=True, return_counts=True)
+        joined, a, b = _Joined(), [], []
+        for k in np.flatnonzero(of != sizes.argmax()).tolist():  # every pair across components has a member outside the largest one
+            near = np.flatnonzero(of != of[k])
+            for other in set(comp[near[(sig[near] == sig[k]).sum(axis=1) >= least]].tolist()):
+                if joined.join(int(comp[k]), other):
+                    a.append(int(comp[k]))
+                    b.append(other)
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return dealt.groupBy("key", "i", "j").applyInArrow(compare, "a long, b long").distinct()
+
+
+def _within(members: DataFrame, least: int, percent: int) -> DataFrame:
+    """a, b: confirmed links that join the components of each cell. members: cell, cid, comp, sig, set.
+
+    Every pair across components has a member outside the cell's largest one: those outside ("left") meet all members ("right").
+    """
+    sizes = members.groupBy("cell", "comp").agg(F.count(F.lit(1)).alias("n"))
+    cells = sizes.groupBy("cell").agg(F.max_by("comp", F.struct("n", "comp")).alias("largest"), F.sum("n").alias("all"), F.max("n").alias("most"))
+    blocks = lambda c: F.greatest(F.lit(1), F.ceil(c / (BLOCK // 2))).cast("int")
+    cells = cells.select(F.col("cell"), "largest", blocks(F.col("all") - F.col("most")).alias("ni"), blocks(F.col("all")).alias("nj"))
+    rows = members.join(cells, "cell")
+    every = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    own = lambda n: F.array(F.pmod(F.xxhash64("cid"), F.col(n)).cast("int"))
+    outside = F.col("comp") != F.col("largest")
+    sides = F.array(F.struct(F.lit(False).alias("left"), every("ni").alias("i"), own("nj").alias("j")), F.when(outside, F.struct(F.lit(True).alias("left"), own("ni").alias("i"), every("nj").alias("j"))))
+    dealt = rows.withColumn("side", F.explode(F.filter(sides, lambda x: x.isNotNull())))
+    dealt = dealt.withColumn("i", F.explode("side.i")).withColumn("j", F.explode("side.j"))
+    dealt = dealt.select("cell", "i", "j", F.col("side.left").alias("left"), "cid", "comp", "sig", "set")
+
+    def confirm(group: pa.Table) -> pa.Table:
+        cid, comp, left = (group.column(c).to_numpy() for c in ("cid", "comp", "left"))
+        sig, sets = _signs(group.column("sig")), [x.as_buffer() for x in group.column("set")]
+        right = np.flatnonzero(~left)
+        joined, a, b = _Joined(), [], []
+        for k in np.flatnonzero(left).tolist():
+            near = right[comp[right] != comp[k]]
+            m = (sig[near] == sig[k]).sum(axis=1)
+            good = m >= least
+            near = near[good][np.argsort(-m[good], kind="stable")]
+            for other in near.tolist():
+                if joined.root(int(comp[k])) == joined.root(int(comp[other])):
+                    continue
+                shared, x, y = _overlap(sets[k], sets[other]), len(sets[k]) // 8, len(sets[other]) // 8
+                if 100 * shared >= percent * (x + y - shared):
+                    joined.join(int(comp[k]), int(comp[other]))
+                    a.append(int(cid[k]))
+                    b.append(int(cid[other]))
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return dealt.groupBy("cell", "i", "j").applyInArrow(confirm, "a long, b long")
 
 
 def _best(pairs: DataFrame, most: int) -> DataFrame:
@@ -256,31 +315,22 @@ def link(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", width:
     scored = pairs.join(signs.toDF("a", "x"), "a").join(signs.toDF("b", "y"), "b").select("a", "b", _matches("x", "y").alias("m"))
     scored = cut(scored.where(F.col("m") >= least))
 
-    known = scored.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    sets = cut(_sets(source, known, width))
-    confirm = _confirm(percent)
-
-    def confirmed(candidates: DataFrame) -> DataFrame:
-        both = candidates.join(sets.toDF("a", "x"), "a").join(sets.toDF("b", "y"), "b")
-        return cut(both.select("a", "b", confirm("x", "y").alias("ok")).where("ok").select("a", "b"))
-
-    tried = cut(_best(scored, 2).select("a", "b"))
-    links = confirmed(tried)
+    tried = _best(scored, 2)
+    sets = cut(_sets(source, tried.select(F.explode(F.array("a", "b")).alias("id")).distinct(), width))
+    both = tried.join(sets.toDF("a", "x"), "a").join(sets.toDF("b", "y"), "b")
+    links = cut(both.select("a", "b", _confirm(percent)("x", "y").alias("ok")).where("ok").select("a", "b"))
     comp = components(links)
 
     spans = members.select("key", "cid", "n").join(comp.toDF("cid", "comp"), "cid", "left").withColumn("comp", F.coalesce("comp", "cid"))
     mixed = spans.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x != y").select("key")
-    across = cut(_across(spans.join(mixed, "key").join(signs, "cid").select("key", "cid", "comp", "n", "sig"), least))
-    known_now = across.select(F.explode(F.array("a", "b")).alias("id")).distinct().join(known, "id", "left_anti")
-    sets = cut(sets.unionByName(_sets(source, known_now, width))) if known_now.limit(1).count() else sets
-    for most in (4, None):
-        named = across.join(tried, ["a", "b"], "left_anti").join(comp.toDF("a", "x"), "a", "left").join(comp.toDF("b", "y"), "b", "left")
-        open_pairs = named.where(F.coalesce("x", "a") != F.coalesce("y", "b")).select("a", "b", "m")
-        if not open_pairs.limit(1).count():
-            break
-        now = cut((_best(open_pairs, most) if most else open_pairs).select("a", "b"))
-        links, tried = links.unionByName(confirmed(now)), tried.unionByName(now)
-        comp = components(links)
+    across = cut(_across(spans.join(mixed, "key").join(signs, "cid").select("key", "comp", "cid", "n", "sig"), least))
+    if across.limit(1).count():
+        cells = components(across).toDF("comp", "cell")
+        named = signs.join(comp.toDF("cid", "comp"), "cid", "left").withColumn("comp", F.coalesce("comp", "cid"))
+        inside = cut(named.join(cells, "comp").select("cell", "cid", "comp", "sig"))
+        sets = cut(_sets(source, inside.select(F.col("cid").alias("id")), width))
+        more = _within(inside.join(sets.toDF("cid", "set"), "cid"), least, percent)
+        comp = components(links.unionByName(more))
 
     of_class = classes.select("digest", "cid").join(comp.toDF("cid", "component"), "cid", "left").select("digest", F.coalesce("component", "cid").alias("component"))
     out = sketches.select("id", "n_shingles", "digest").join(of_class, "digest", "left")
