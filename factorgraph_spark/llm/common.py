@@ -4,6 +4,9 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+
+import pyarrow as pa
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -48,3 +51,14 @@ def lower_ascii(text: Column) -> Column:
 
 def utf8(text: str | None) -> bytes:
     return b"" if text is None else text.encode("utf-8", "surrogatepass")
+
+
+#: Rows of an Arrow batch that are turned into Python strings at a time.
+SLICE = 128
+
+
+def strings(column: pa.Array) -> Iterator[str]:
+    """The texts of an Arrow column, null as empty, without a second copy of the whole batch."""
+    for k in range(0, len(column), SLICE):
+        for t in column.slice(k, SLICE).to_pylist():
+            yield t or ""

@@ -20,6 +20,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import strings
+
 LONGEST = 32
 #: Labelled documents of the training sample, shared evenly among the languages.
 SAMPLE_DOCS = 800
@@ -27,7 +29,7 @@ EM_ROUNDS = 3
 #: Probability of a character that is no piece; share of the pooled model in every language's.
 UNKNOWN, POOLED = 1e-7, 0.02
 #: Chunks that a worker remembers; the table is emptied when it is full.
-REMEMBERED = 400_000
+REMEMBERED = 250_000
 TOGETHER = 300_000
 UNDETERMINED = "und"
 
@@ -220,8 +222,8 @@ class Scorer:
         self.rows[first : first + len(chunks)] = logs
         self.known.update(zip(chunks, range(first, first + len(chunks))))
 
-    def texts(self, texts) -> Iterator[np.ndarray]:
-        """Log-likelihood by language of each text."""
+    def texts(self, texts) -> Iterator[tuple[bool, np.ndarray]]:
+        """Whether the text has a word, and its log-likelihood by language."""
         held, size = [], 0
         for t in texts:
             held.append(_WORD.findall(t.lower()))
@@ -231,13 +233,13 @@ class Scorer:
                 held, size = [], 0
         yield from self._held(held)
 
-    def _held(self, held: list[list[str]]) -> Iterator[np.ndarray]:
+    def _held(self, held: list[list[str]]) -> Iterator[tuple[bool, np.ndarray]]:
         if len(self.known) > REMEMBERED:
             self._forget()
         if new := set().union(*held).difference(self.known):
             self._learn(sorted(new))
         for chunks in held:
-            yield self.rows[np.fromiter(map(self.known.__getitem__, chunks), dtype=np.int64, count=len(chunks))].sum(axis=0)
+            yield bool(chunks), self.rows[np.fromiter(map(self.known.__getitem__, chunks), dtype=np.int64, count=len(chunks))].sum(axis=0)
 
 
 def held_out(doc_id: Column) -> Column:
@@ -265,10 +267,9 @@ def predict(docs: DataFrame, model: Model, *, doc_id: str = "doc_id", text: str
         scorer = Scorer(shared.value)
         names = scorer.model.languages
         for batch in batches:
-            texts = [t or "" for t in batch.column("t").to_pylist()]
             best, score = [], []
-            for t, logs in zip(texts, scorer.texts(texts)):
-                if not names or not _WORD.search(t):
+            for worded, logs in scorer.texts(strings(batch.column("t"))):
+                if not names or not worded:
                     best.append(UNDETERMINED)
                     score.append(0.0)
                     continue
@@ -289,8 +290,8 @@ def accept(docs: DataFrame, model: Model, *, text: str = "text", least: float =
     def sure(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         scorer = Scorer(shared.value)
         for batch in batches:
-            texts = [t or "" for t in batch.to_pylist()]
-            yield pa.array([bool(len(logs)) and bool(_WORD.search(t)) and 1 / np.exp(logs - logs.max()).sum() >= least for t, logs in zip(texts, scorer.texts(texts))], pa.bool_())
+            found = scorer.texts(strings(batch))
+            yield pa.array([bool(len(logs)) and worded and 1 / np.exp(logs - logs.max()).sum() >= least for worded, logs in found], pa.bool_())
 
     return docs.where(F.arrow_udf(sure, T.BooleanType())(F.col(text)))
 

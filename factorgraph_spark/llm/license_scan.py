@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import utf8
+from .common import strings, utf8
 
 # Phrases whose places are always reported, with their labels.
 PHRASES = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
@@ -75,7 +75,7 @@ def block_frequencies(docs: DataFrame, words: set[bytes], text: str = "text") ->
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found: Counter[bytes] = Counter()
         for batch in batches:
-            for t in batch.column("t").to_pylist():
+            for t in strings(batch.column("t")):
                 if words.isdisjoint(words_of(t)):
                     continue
                 for line in _lines(t):
@@ -142,7 +142,7 @@ def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", templat
         def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 counts, places, blocks = [], [], []
-                for t in batch.column("t").to_pylist():
+                for t in strings(batch.column("t")):
                     words = words_of(t)
                     counts.append(len(words))
                     places.append([{"word": w, "label": x} for w, x in sorted(phrase_places(words, known))] if words else [])

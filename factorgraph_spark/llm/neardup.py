@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, utf8
+from .common import cut, strings, utf8
 
 SYMBOLS, INDEXED, CHUNK = 128, 48, 4
 INDEX_ERRORS = 2 * (INDEXED // CHUNK) - 1
@@ -34,7 +34,8 @@ INDEX_ERRORS = 2 * (INDEXED // CHUNK) - 1
 BLOCK = 1024
 #: Ids up to which a side is broadcast; beyond, the join shuffles.
 BROADCAST_IDS = 1_000_000
-TOGETHER = 1_000_000
+#: Bytes of text that are hashed together.
+TOGETHER = 300_000
 
 _rng = np.random.default_rng(20240101)
 _BYTE = _rng.integers(0, 2**64, 256, dtype=np.uint64)
@@ -115,7 +116,7 @@ def sketch(docs: DataFrame, width: int) -> DataFrame:
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n, digest, sig = [], [], []
-            for held in _grouped(batch.column("t").to_pylist()):
+            for held in _grouped(strings(batch.column("t"))):
                 for s in shingle_sets(held, width):
                     n.append(len(s))
                     digest.append(hashlib.md5(s.tobytes(), usedforsecurity=False).digest() if len(s) else None)
@@ -177,7 +178,7 @@ def _sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = 0
-            for held in _grouped(batch.column("t").to_pylist()):
+            for held in _grouped(strings(batch.column("t"))):
                 sets = pa.array([s.tobytes() for s in shingle_sets(held, width)], pa.binary())
                 yield pa.RecordBatch.from_arrays([batch.column("id").slice(at, len(held)), sets], ["id", "set"])
                 at += len(held)
@@ -199,7 +200,8 @@ def components(edges: DataFrame) -> DataFrame:
         edges = cut(small.select("e.u", "e.v").where("u != v").distinct())
         now = edges.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(u, v))")).first()
         if now == state:
-            return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
+            own = edges.select("v").distinct().select(F.col("v").alias("node"), F.col("v").alias("component"))
+            return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(own)
         state = now
 
 

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, strings
 from .tokens import WordTokens
 
 # The id after each document's tokens, and tokens in a sequence.
@@ -43,7 +43,7 @@ def pieces(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", vocab
         end = np.array([END_ID], dtype="<u4").tobytes()
         for batch in batches:
             row, piece, start, length, crc = [], [], [], [], []
-            for k, ids in enumerate(tokens.encode_many(t or "" for t in batch.column("t").to_pylist())):
+            for k, ids in enumerate(tokens.encode_many(strings(batch.column("t")))):
                 ids += end
                 for p, s in enumerate(range(0, len(ids), 4 * capacity)):
                     part = ids[s : s + 4 * capacity]

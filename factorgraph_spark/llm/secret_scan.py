@@ -1,7 +1,7 @@
 r"""Secret scan: Boolean trigram queries, derived from each rule's regular expression, over segment-wise trigram postings.
 
 ``trigram_query`` walks Python's parse tree of a pattern and returns what a matching text must hold: an AND/OR tree of trigrams, or
-``ANY`` where nothing is certain. Each Arrow batch of documents is one index segment. For the trigrams that the rules ask for, the
+``ANY`` where nothing is certain. Every SEGMENT documents of a task are one index segment. For the trigrams that the rules ask for, the
 segment keeps a posting list (the sorted numbers of the rows that hold it); queries are evaluated by intersecting and uniting
 postings, and only the rows that remain are run through the regular expression. A rule without a mandatory trigram scans every row.
 The index folds A-Z to a-z, so that it serves rules of either kind. Nothing is shuffled and a lost task rebuilds its own segments.
@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import strings
+
 try:
     from re import _constants as C
     from re import _parser as parser
@@ -54,6 +56,8 @@ MORE = (
 )
 
 SPANS = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())]))
+#: Documents of an index segment.
+SEGMENT = 2_000
 ANY = ("any",)
 #: Alternatives that a pattern's exact strings may have before only their trigrams are kept.
 MOST_STRINGS = 64
@@ -194,9 +198,11 @@ def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", rules=B
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = find_all([t or "" for t in batch.column("t").to_pylist()], rules)
-            spans = pa.array([[{"kind": k, "start": s, "end": e} for k, s, e in x] for x in found], SPANS)
-            yield pa.RecordBatch.from_arrays([batch.column("id"), spans], ["id", "spans"])
+            for k in range(0, batch.num_rows, SEGMENT):
+                part = batch.slice(k, SEGMENT)
+                found = find_all(list(strings(part.column("t"))), rules)
+                spans = pa.array([[{"kind": k, "start": s, "end": e} for k, s, e in x] for x in found], SPANS)
+                yield pa.RecordBatch.from_arrays([part.column("id"), spans], ["id", "spans"])
 
     kind = dict(docs.select(doc_id).dtypes)[doc_id]
     rows = docs.select(F.col(doc_id).alias("id"), F.col(text).alias("t"))
@@ -208,17 +214,20 @@ def redact(docs: DataFrame, *, text: str = "text", rules=BASE + MORE, mark: str
 
     @F.arrow_udf("string")
     def clean(column: pa.Array) -> pa.Array:
-        out, texts = [], column.to_pylist()
-        for t, spans in zip(texts, find_all([t or "" for t in texts], rules)):
-            if spans:
-                parts, at = [], 0
-                for _, s, e in spans:
-                    if s > at or not parts:
-                        parts += [t[at:s], mark]
-                    at = max(at, e)
-                t = "".join([*parts, t[at:]])
-            out.append(t)
-        return pa.array(out, pa.string())
+        done = []
+        for k in range(0, len(column), SEGMENT):
+            texts, out = column.slice(k, SEGMENT).to_pylist(), []
+            for t, spans in zip(texts, find_all([t or "" for t in texts], rules)):
+                if spans:
+                    parts, at = [], 0
+                    for _, s, e in spans:
+                        if s > at or not parts:
+                            parts += [t[at:s], mark]
+                        at = max(at, e)
+                    t = "".join([*parts, t[at:]])
+                out.append(t)
+            done.append(pa.array(out, pa.string()))
+        return pa.concat_arrays(done) if done else pa.array([], pa.string())
 
     return docs.withColumn(text, clean(F.col(text)))
 

@@ -14,7 +14,7 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 
 #: Chunks that a worker remembers; the table is emptied when it is full.
-REMEMBERED = 400_000
+REMEMBERED = 250_000
 
 #: Characters that are split together.
 TOGETHER = 300_000
