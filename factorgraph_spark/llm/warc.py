@@ -23,8 +23,10 @@ VERSION = "WARC/1.1"
 END = "\r\n"
 #: Payloads with at least so many bytes can be revisited.
 LEAST_BYTES = 0
-#: Payload bytes of an archive on average.
+#: Payload bytes of an archive at most, for payloads of average size.
 FILE_BYTES = 16_000_000
+#: Revisits up to which they are broadcast to the payloads; beyond, payloads are shuffled by id.
+BROADCAST_ROWS = 1_000_000
 
 
 def digest(payload: Column) -> Column:
@@ -80,14 +82,15 @@ def write(pages: DataFrame, path: str, *, page_id: str = "page_id", url: str = "
     heads = rows.select("id", digest(F.encode("p", "UTF-8")).alias("digest"), F.octet_length("p").cast("long").alias("bytes"))
     heads = cut(heads)
     links = resolve(heads, least).where("record_type = 'revisit'").select(F.col("id").alias("i"), F.col("digest").alias("d"), "refers_to").distinct()
-    total = heads.agg(F.sum("bytes")).first()[0] or 0
+    links = cut(links)
+    total, n = heads.agg(F.sum("bytes"), F.count(F.lit(1))).first()
     rows = rows.withColumn("digest", digest(F.encode("p", "UTF-8"))).withColumn("bytes", F.octet_length("p").cast("long"))
-    joined = rows.join(links, F.col("id").eqNullSafe(F.col("i")) & (F.col("digest") == F.col("d")), "left")
+    few = links.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    joined = rows.join(F.broadcast(links) if few else links, F.col("id").eqNullSafe(F.col("i")) & (F.col("digest") == F.col("d")), "left")
     kind = F.when(F.col("refers_to").isNotNull(), "revisit").otherwise("response")
     value = _record(F.col("u"), F.col("id"), kind, F.col("refers_to"), F.col("digest"), F.col("bytes"), F.col("p"))
-    files = max(1, round(total / FILE_BYTES))
-    out = joined.select(value.alias("value"), F.col("id").alias("i")).repartition(files, "i").select("value")
-    out.write.option("lineSep", END + END).option("compression", "none").text(path)
+    each = max(1, FILE_BYTES * n // max(1, total or 0))
+    joined.select(value.alias("value")).write.option("lineSep", END + END).option("compression", "none").option("maxRecordsPerFile", each).text(path)
 
 
 def _records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
