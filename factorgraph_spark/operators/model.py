@@ -106,13 +106,13 @@ def potentials_frame(spark: SparkSession, tables: dict[int, tuple[list[int], lis
 def ground(spark: SparkSession, variables: DataFrame, clauses: list[tuple[DataFrame, tuple[list[int], list[float]]]]) -> FactorGraph:
     """A graph from variables and, per clause, a table with one row per grounding (columns key, v0, v1, ...) and a shared potential.
 
-    key (string) must be unique over all clauses; it names the factor, whose id is an odd hash of it.
+    key (string) must be unique over all clauses; it names the factor, whose id is odd and made of the first 60 bits of its md5, so that other engines repeat it.
     """
     parts, tables = [], {}
     for k, (rows, potential) in enumerate(clauses):
         tables[k] = potential
         slots = [F.struct(F.lit(s).alias("slot"), F.col(f"v{s}").alias("vid"), F.lit(c).alias("card")) for s, c in enumerate(potential[0])]
-        fid = F.shiftleft(F.abs(F.xxhash64("key")) % F.lit(1 << 61), 1) + 1
+        fid = F.conv(F.substring(F.md5(F.col("key").cast("binary")), 1, 15), 16, 10).cast("long") * 2 + 1
         made = rows.select(fid.alias("fid"), F.explode(F.array(*slots)).alias("e"))
         parts.append(made.select("fid", "e.vid", "e.slot", "e.card", F.lit(k).cast("long").alias("potential_id")))
     return FactorGraph(variables, reduce(DataFrame.unionByName, parts), potentials_frame(spark, tables))
