@@ -32,6 +32,8 @@ SYMBOLS, INDEXED, CHUNK = 128, 48, 4
 INDEX_ERRORS = 2 * (INDEXED // CHUNK) - 1
 #: Members of a bucket that one task compares with as many others.
 BLOCK = 1024
+#: Edges up to which one task joins them into components.
+TASK_EDGES = 200_000
 #: Ids up to which a side is broadcast; beyond, the join shuffles.
 BROADCAST_IDS = 1_000_000
 #: Bytes of text that are hashed together.
@@ -186,25 +188,6 @@ def _sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
     return restrict(docs, ids, "left_semi", "id").mapInArrow(make, "id long, set binary")
 
 
-def components(edges: DataFrame) -> DataFrame:
-    """node and component (its least node) for every node of the edges (a, b), by alternating star contractions."""
-    state = None
-    edges = edges.where("a != b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
-    while True:
-        both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
-        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        large = large.where("u != v")
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e"))
-        edges = cut(small.select("e.u", "e.v").where("u != v").distinct())
-        now = edges.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(u, v))")).first()
-        if now == state:
-            own = edges.select("v").distinct().select(F.col("v").alias("node"), F.col("v").alias("component"))
-            return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(own)
-        state = now
-
-
 class _Joined:
     """Components that a task has joined so far."""
 
@@ -222,6 +205,42 @@ class _Joined:
         return x != y
 
 
+def _forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """node and component of all nodes of one task's edges (u, v)."""
+    joined, nodes = _Joined(), set()
+    for batch in batches:
+        for x, y in zip(batch.column("u").to_pylist(), batch.column("v").to_pylist()):
+            joined.join(x, y)
+            nodes.update((x, y))
+    found = sorted(nodes)
+    yield pa.RecordBatch.from_arrays([pa.array(found, pa.int64()), pa.array([joined.root(x) for x in found], pa.int64())], ["node", "component"])
+
+
+def components(edges: DataFrame) -> DataFrame:
+    """node and component (its least node) for every node of the edges (a, b).
+
+    At most TASK_EDGES edges are joined by one task; more by alternating star contractions, from forests that tasks have made of their own.
+    """
+    edges = cut(edges.where("a != b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")))
+    if edges.limit(TASK_EDGES + 1).count() <= TASK_EDGES:
+        return cut(edges.coalesce(1).mapInArrow(_forest, "node long, component long"))
+    edges = edges.mapInArrow(_forest, "node long, component long").where("node != component").toDF("u", "v").distinct()
+    state = None
+    while True:
+        both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        low = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
+        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = large.where("u != v")
+        low = large.groupBy("u").agg(F.min("v").alias("m"))
+        small = large.join(low, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e"))
+        edges = cut(small.select("e.u", "e.v").where("u != v").distinct())
+        now = edges.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(u, v))")).first()
+        if now == state:
+            own = edges.select("v").distinct().select(F.col("v").alias("node"), F.col("v").alias("component"))
+            return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(own)
+        state = now
+
+
 def _signs(column) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), dtype="<u2").reshape(-1, SYMBOLS)
 
