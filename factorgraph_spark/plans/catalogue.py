@@ -234,7 +234,7 @@ def _modes(s: SparkSession, d: str) -> DataFrame:
     """Variables whose belief differs by more than 1e-4 between the four combinations of residual and sweep, on chains."""
     g = _conversations(s, d)
     found = [dict((v, p[1]) for v, p in b.beliefs()) for b in (_swept(g, r, w) for r in ("message", "belief") for w in ("volume", "work"))]
-    return s.createDataFrame([(sum(max(f[v] for f in found) - min(f[v] for f in found) > 1e-4 for v in found[0]),)], "differing long")
+    return s.createDataFrame([(int(sum(max(f[v] for f in found) - min(f[v] for f in found) > 1e-4 for v in found[0])),)], "differing long")
 
 
 def _swept(g: FactorGraph, residual: str, sweep: str):
