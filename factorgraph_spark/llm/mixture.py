@@ -84,7 +84,7 @@ def _with_sources(docs: DataFrame, sources: DataFrame, key: str) -> DataFrame:
 
 
 def _nearest_cuts(docs: DataFrame, targets: DataFrame) -> DataFrame:
-    """By source: the place below which documents get one more copy, and place and sizes (less, more) of the one beyond. docs: source, size, base, part (0 to 1), u (place of LEVELS * FAN_BITS bits)."""
+    """By source: the place below which documents get one more copy (cut), and place and size of one beyond that does (p) and one below that doesn't (q). docs: source, size, base, part (0 to 1), u (place of LEVELS * FAN_BITS bits)."""
     gain = docs.where("size > 0 and part > 0")
     taken = docs.groupBy("source").agg(F.sum(F.col("base") * F.col("size")).alias("sure"))
     same = lambda a, b: a.eqNullSafe(b)
@@ -109,13 +109,48 @@ def _nearest_cuts(docs: DataFrame, targets: DataFrame) -> DataFrame:
                 "cs", F.when(F.col("bs").isNull(), F.col("need")).otherwise(F.col("rest")).alias("need"), F.coalesce("at", "low").alias("low")
             )
         )
-    # What is still missing is less than the next document has: the document beyond the cut whose size comes nearest closes the gap.
-    off = F.abs(F.col("size") - F.col("need"))
-    beyond = _with_sources(gain, state.withColumn("of", F.col("cs")), "of").where((F.col("u") >= F.col("low")) & (off < F.col("need")))
-    nearest = cut(beyond.groupBy(F.col("cs").alias("of")).agg(F.min(off).alias("off")))
-    pick = _with_sources(beyond, nearest, "of").where(off == F.col("off")).groupBy("cs").agg(F.min("u").alias("pu")).withColumnRenamed("cs", "ps")
-    chosen = state.join(pick, same(F.col("ps"), F.col("cs")), "left").join(nearest, same(F.col("of"), F.col("cs")), "left")
-    return cut(chosen.select("cs", F.col("low").alias("cut"), "pu", (F.col("need") - F.col("off")).alias("less"), (F.col("need") + F.col("off")).alias("more")))
+    # What is still missing is less than the next document has. Either the document beyond the cut whose size comes nearest closes the
+    # gap, or the next one is taken and, of those taken, the one whose size comes nearest to the excess is left out.
+    open_ = cut(_with_sources(gain, state.withColumn("of", F.col("cs")), "of"))
+    beyond = open_.where(F.col("u") >= F.col("low"))
+    added = _nearest(beyond, F.col("need"), "a")
+    first = beyond.groupBy("cs").agg(F.min("u").alias("nu"))
+    size = _with_cs(beyond, first).where("u = nu").groupBy("cs").agg(F.min("nu").alias("nu"), F.min("size").alias("ns"))
+    excess = _with_cs(open_.where(F.col("u") < F.col("low")), size).withColumn("over", F.col("ns") - F.col("need"))
+    dropped = _nearest(excess, F.col("over"), "d")
+    both = state
+    for part in (added, size, dropped):
+        own = part.columns[0]
+        both = both.join(part.withColumnRenamed(own, "of"), same(F.col("of"), F.col("cs")), "left").drop("of")
+    swap = F.coalesce(F.col("d_off") < F.coalesce("a_off", "need"), F.lit(False))
+    plain = ~swap & (F.col("a_off") < F.col("need"))
+    return cut(
+        both.select(
+            "cs",
+            F.col("low").alias("cut"),
+            F.when(swap, F.col("nu")).when(plain, F.col("a_u")).alias("pu"),
+            F.when(swap, F.col("ns")).when(plain, F.col("a_size")).alias("psize"),
+            F.when(swap, F.col("d_u")).alias("qu"),
+            F.when(swap, F.col("d_size")).alias("qsize"),
+        )
+    )
+
+
+def _with_cs(rows: DataFrame, sources: DataFrame) -> DataFrame:
+    """rows joined with a table of sources, both by cs."""
+    few = sources.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES
+    right = sources.withColumnRenamed("cs", "of")
+    return rows.join(F.broadcast(right) if few else right, F.col("of").eqNullSafe(F.col("cs"))).drop("of")
+
+
+def _nearest(rows: DataFrame, goal: Column, name: str) -> DataFrame:
+    """cs and, of the row whose size comes nearest to goal: its distance, place and size; ties to the lower place, then size."""
+    off = F.abs(F.col("size") - goal)
+    least = cut(rows.groupBy("cs").agg(F.min(off).alias("off")))
+    at = _with_cs(rows, least).where(off == F.col("off"))
+    place = cut(at.groupBy("cs").agg(F.min("u").alias("pu"), F.min("off").alias("o")))
+    found = _with_cs(at, place).where(F.col("u") == F.col("pu")).groupBy("cs").agg(F.min("o").alias(f"{name}_off"), F.min("pu").alias(f"{name}_u"), F.min("size").alias(f"{name}_size"))
+    return cut(found.withColumnRenamed("cs", f"{name}_cs"))
 
 
 def _measured(docs: DataFrame, doc_id: str, text: str, source: str, prior: Column | None, tilt: Column | None) -> DataFrame:
@@ -150,8 +185,9 @@ def _dealt(rows: DataFrame, solved: DataFrame, most: float) -> DataFrame:
 
 
 def _copies(dealt: DataFrame, most: float) -> DataFrame:
-    beyond = F.col("u").eqNullSafe(F.col("pu")) & ((F.col("size") == F.col("less")) | (F.col("size") == F.col("more")))
-    copies = F.col("base") + F.when((F.col("part") > 0) & ((F.col("u") < F.col("cut")) | beyond), 1).otherwise(0)
+    this = lambda k: F.col("u").eqNullSafe(F.col(f"{k}u")) & F.col("size").eqNullSafe(F.col(f"{k}size"))
+    more = ((F.col("u") < F.col("cut")) & ~this("q")) | this("p")
+    copies = F.col("base") + F.when((F.col("part") > 0) & more, 1).otherwise(0)
     return dealt.withColumn("copies", F.least(copies, F.lit(int(most))).cast("int"))
 
 
