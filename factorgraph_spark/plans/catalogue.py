@@ -195,11 +195,18 @@ query("map_states", SNOW + "SELECT vid, CASE WHEN t > 0 THEN 1 ELSE 0 END AS sta
 query("topk_uncertain", SNOW + "SELECT vid, round(abs(t), 6) AS margin FROM b WHERE vid % 16 = 2 ORDER BY round(abs(t), 6), vid LIMIT 20")(lambda s, d: snow_exact(s, d).where("vid % 16 = 2").select("vid", F.round(F.abs("t"), 6).alias("margin")).orderBy("margin", "vid").limit(20))
 
 
-def flagship(s: SparkSession, d: str) -> DataFrame:
-    """The block sweeper on the snowflake: blocks in stretches of orders, so that few edges are cut."""
+def flagship(s: SparkSession, d: str, blocks: int = 8) -> DataFrame:
+    """The block sweeper on the snowflake. A customer's orders and lines stay in its block, so only edges to nations are cut."""
     g = settled(gallery.snowflake_tree(s, d))
-    assign = cut(partition.over_segment(g, 8, 1) if g.variables.count() < 20_000 else partition.hash_parts(g, 8).withColumn("piece", F.col("block")))
-    return _p1(block_bp.run(g, assign, BPConfig(damping=0.0, beta=1e-8, send_every=0)).beliefs)
+    k, orders = gallery, table(s, d, "orders").select("o_orderkey", "o_custkey")
+    block = lambda c: F.pmod(F.xxhash64(c), F.lit(blocks)).alias("block")
+    lines = table(s, d, "lineitem").select("l_orderkey", "l_linenumber").distinct().join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
+    v = lines.select(k.vid(F.col("l_orderkey") * 8 + F.col("l_linenumber"), k.LINE).alias("vid"), block("o_custkey"))
+    v = v.unionByName(orders.select(k.vid(F.col("o_orderkey"), k.ORDER).alias("vid"), block("o_custkey")))
+    v = v.unionByName(table(s, d, "customer").select(k.vid(F.col("c_custkey"), k.CUSTOMER).alias("vid"), block("c_custkey")))
+    v = cut(g.variables.select("vid").join(v, "vid", "left").select("vid", F.coalesce("block", F.lit(0)).cast("long").alias("block")))
+    f = g.edges.where("slot = 0").join(v, "vid").select(F.col("fid").alias("vid"), "block")
+    return _p1(block_bp.run(g, v.unionByName(f), BPConfig(damping=0.0, beta=1e-8, send_every=0)).beliefs)
 
 
 # Chains of conversations: forward-backward in log-odds.
