@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
+import functools
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -62,3 +65,21 @@ def strings(column: pa.Array) -> Iterator[str]:
     for k in range(0, len(column), SLICE):
         for t in column.slice(k, SLICE).to_pylist():
             yield t or ""
+
+
+def tidy(f):
+    """A function over Arrow batches that gives its task's memory back to the system, so that idle Python workers stay small."""
+
+    @functools.wraps(f)
+    def run(batches):
+        try:
+            yield from f(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (OSError, AttributeError):  # another C library
+                pass
+
+    return run

@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import strings
+from .common import strings, tidy
 
 LONGEST = 32
 #: Labelled documents of the training sample, shared evenly among the languages.
@@ -263,6 +263,7 @@ def predict(docs: DataFrame, model: Model, *, doc_id: str = "doc_id", text: str
     """doc_id, lang_pred and score (posterior under equal priors) of every row. Texts that are null or hold no letter are undetermined, score 0."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # as large as vocabulary times languages
 
+    @tidy
     def guess(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(shared.value)
         names = scorer.model.languages
@@ -287,6 +288,7 @@ def accept(docs: DataFrame, model: Model, *, text: str = "text", least: float =
     """The rows of docs whose language is determined with a score of at least ``least``; all columns stay, nothing is shuffled."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
+    @tidy
     def sure(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         scorer = Scorer(shared.value)
         for batch in batches:

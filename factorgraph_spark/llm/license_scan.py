@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import strings, utf8
+from .common import strings, tidy, utf8
 
 # Phrases whose places are always reported, with their labels.
 PHRASES = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
@@ -72,6 +72,7 @@ def _lines(text: str | None) -> list[bytes]:
 def block_frequencies(docs: DataFrame, words: set[bytes], text: str = "text") -> dict[bytes, int]:
     """In how many blocks of all documents each of ``words`` stands."""
 
+    @tidy
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found: Counter[bytes] = Counter()
         for batch in batches:
@@ -139,6 +140,7 @@ def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", templat
     def one_group(part: list[Template], known: dict[str, str]):
         rare = {w for t in part for w in t.prefix}
 
+        @tidy
         def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 counts, places, blocks = [], [], []

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, strings, utf8
+from .common import cut, strings, tidy, utf8
 
 SYMBOLS, INDEXED, CHUNK = 128, 48, 4
 INDEX_ERRORS = 2 * (INDEXED // CHUNK) - 1
@@ -115,6 +115,7 @@ def _grouped(texts) -> Iterator[list[bytes]]:
 def sketch(docs: DataFrame, width: int) -> DataFrame:
     """id, n_shingles, digest and sig of every row of docs (id, t); the last two are null for an empty set."""
 
+    @tidy
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n, digest, sig = [], [], []
@@ -177,6 +178,7 @@ def restrict(docs: DataFrame, ids: DataFrame, how: str, column: str) -> DataFram
 def _sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
     """id and set (sorted hashes as bytes) of the documents with these ids."""
 
+    @tidy
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = 0

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, strings
+from .common import cut, strings, tidy
 from .tokens import WordTokens
 
 # The id after each document's tokens, and tokens in a sequence.
@@ -38,6 +38,7 @@ PER_BUCKET = 50_000
 def pieces(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", vocabulary: str | None = None, capacity: int = CAPACITY) -> DataFrame:
     """doc_id, piece, start, length and ids_crc32 of every piece. Null text is empty: one piece that holds END_ID alone."""
 
+    @tidy
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokens = WordTokens(vocabulary)
         end = np.array([END_ID], dtype="<u4").tobytes()

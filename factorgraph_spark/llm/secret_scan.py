@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import strings
+from .common import strings, tidy
 
 try:
     from re import _constants as C
@@ -196,6 +196,7 @@ def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", rules=B
     Null and empty texts have no spans, repeated rows are scanned each, and an empty table gives an empty result.
     """
 
+    @tidy
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for k in range(0, batch.num_rows, SEGMENT):
