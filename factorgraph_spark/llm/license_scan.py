@@ -1,10 +1,13 @@
 """Licence scan: an exact set-similarity join of text blocks with licence templates.
 
-A block is a line of a document. A template matches a block if at least ``threshold`` of the template's distinct words are in the
+A block is a line of a document, or a window: ``WINDOW`` times a template's length of words in a row, across line breaks, so that
+wrapped notices are found. A template matches a block if at least ``threshold`` of the template's distinct words are in the
 block. The join is exact: a first pass counts in how many blocks each template word stands (all blocks of all documents), which
 orders every template's words from rare to frequent; a block can only reach the threshold if it holds one of the template's
 ``|T| - need + 1`` rarest words (prefix filter), has at least ``need`` distinct words (length filter), and if the words that remain
-after its first shared prefix word are still enough (position filter). What passes is verified on the full sets. Neither pass
+after its first shared prefix word are still enough (position filter). The filters run on the document's words first, which hold
+every block's, and again on each line; windows slide over the places of the template's words, all of them. What passes is verified
+on the full sets. Neither pass
 shuffles text: the first sends one row per template word and task, the second nothing.
 
 Templates are a small literal table. They are broadcast in the task closure in groups of at most ``MAX_TEMPLATE_WORDS`` words; a
@@ -42,6 +45,10 @@ TEMPLATES = (
 
 PLACES = pa.list_(pa.struct([("word", pa.int64()), ("label", pa.string())]))
 BLOCKS = pa.list_(pa.struct([("line", pa.int64()), ("label", pa.string()), ("containment", pa.float64())]))
+WINDOWS = pa.list_(pa.struct([("word", pa.int64()), ("label", pa.string()), ("containment", pa.float64())]))
+
+#: Words of a window for each word of a template: room for words that a notice adds.
+WINDOW = 1.25
 
 #: Words in the templates of one pass.
 MAX_TEMPLATE_WORDS = 50_000
@@ -59,6 +66,7 @@ class Template:
     label: str
     ordered: tuple[bytes, ...]  # rare to frequent
     need: int
+    width: int  # words of a window
 
     @property
     def prefix(self) -> tuple[bytes, ...]:
@@ -70,7 +78,7 @@ def _lines(text: str | None) -> list[bytes]:
 
 
 def block_frequencies(docs: DataFrame, words: set[bytes], text: str = "text") -> dict[bytes, int]:
-    """In how many blocks of all documents each of ``words`` stands."""
+    """In how many lines of all documents each of ``words`` stands."""
 
     @tidy
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -92,23 +100,55 @@ def compile_templates(templates, frequency: dict[bytes, int], threshold: float)
     for label, wording in templates:
         words = set(words_of(wording))
         if words:
-            out.append(Template(label, tuple(sorted(words, key=lambda w: (frequency.get(w, 0), w))), max(1, ceil(threshold * len(words) - 1e-9))))
+            width = ceil(WINDOW * len(words_of(wording)))
+            out.append(Template(label, tuple(sorted(words, key=lambda w: (frequency.get(w, 0), w))), max(1, ceil(threshold * len(words) - 1e-9)), width))
     return out
 
 
+def shared_words(words: set[bytes], t: Template) -> int:
+    """How many of the template's words are among ``words``; 0 where they are fewer than it needs."""
+    if len(words) < t.need:
+        return 0
+    first = next((k for k, w in enumerate(t.prefix) if w in words), None)
+    if first is None or len(t.ordered) - first < t.need:
+        return 0
+    shared = sum(w in words for w in t.ordered[first:])
+    return shared if shared >= t.need else 0
+
+
 def match_block(words: set[bytes], templates: list[Template]) -> Iterator[tuple[str, float]]:
     """Label and containment of every template that the block reaches."""
     for t in templates:
-        if len(words) < t.need:
-            continue
-        first = next((k for k, w in enumerate(t.prefix) if w in words), None)
-        if first is None or len(t.ordered) - first < t.need:
-            continue
-        shared = sum(w in words for w in t.ordered[first:])
-        if shared >= t.need:
+        if shared := shared_words(words, t):
             yield t.label, shared / len(t.ordered)
 
 
+def match_windows(words: list[bytes], t: Template) -> Iterator[tuple[int, float]]:
+    """First word and containment of the best window (the first of equals) in each run of overlapping windows that reach the template."""
+    sought = set(t.ordered)
+    hits = [k for k, w in enumerate(words) if w in sought]
+    held: Counter[bytes] = Counter()
+    left, best, last = 0, None, -1
+    for k in hits:
+        held[words[k]] += 1
+        while hits[left] <= k - t.width:
+            w = words[hits[left]]
+            held[w] -= 1
+            if not held[w]:
+                del held[w]
+            left += 1
+        if len(held) < t.need:
+            continue
+        if best and hits[left] > last:
+            yield best[0], best[1] / len(t.ordered)
+            best = None
+        if not best or len(held) > best[1]:
+            best = (hits[left], len(held))
+        last = k
+    if best:
+        yield best[0], best[1] / len(t.ordered)
+
+
 def phrase_places(words: list[bytes], phrases: dict[str, str]) -> Iterator[tuple[int, str]]:
     """Index of the first word, and label, of every place of every phrase."""
     joined = b" " + b" ".join(words) + b" "
@@ -121,7 +161,8 @@ def phrase_places(words: list[bytes], phrases: dict[str, str]) -> Iterator[tuple
 
 
 def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", templates=TEMPLATES, phrases=PHRASES, threshold: float = 0.8) -> DataFrame:
-    """One row per input row: its id, n_words, ``phrases`` (array of word and label) and ``blocks`` (array of line, label, containment).
+    """One row per input row: its id, n_words, ``phrases`` (array of word and label), ``blocks`` (lines that match: array of line, label,
+    containment) and ``windows`` (the same across line breaks: array of first word, label, containment).
 
     Null and empty texts have no words and no matches; repeated rows are scanned each; an empty table gives an empty result. Other
     columns of the input are not read.
@@ -143,34 +184,40 @@ def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", templat
         @tidy
         def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                counts, places, blocks = [], [], []
+                counts, places, blocks, windows = [], [], [], []
                 for t in strings(batch.column("t")):
                     words = words_of(t)
                     counts.append(len(words))
                     places.append([{"word": w, "label": x} for w, x in sorted(phrase_places(words, known))] if words else [])
-                    found = []
+                    found, across = [], []
                     if not rare.isdisjoint(words):
-                        for k, line in enumerate(_lines(t)):
-                            found += [{"line": k, "label": x, "containment": c} for x, c in match_block(set(line.translate(_WORD_BYTES).split()), part)]
+                        distinct = set(words)
+                        possible = [x for x in part if shared_words(distinct, x)]
+                        for k, line in enumerate(_lines(t) if possible else []):
+                            found += [{"line": k, "label": x, "containment": c} for x, c in match_block(set(line.translate(_WORD_BYTES).split()), possible)]
+                        for x in possible:
+                            across += [{"word": k, "label": x.label, "containment": c} for k, c in match_windows(words, x)]
                     blocks.append(found)
-                yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(counts, pa.int64()), pa.array(places, PLACES), pa.array(blocks, BLOCKS)], ["id", "n_words", "phrases", "blocks"])
+                    windows.append(across)
+                columns = [batch.column("id"), pa.array(counts, pa.int64()), pa.array(places, PLACES), pa.array(blocks, BLOCKS), pa.array(windows, WINDOWS)]
+                yield pa.RecordBatch.from_arrays(columns, ["id", "n_words", "phrases", "blocks", "windows"])
 
         return match
 
     kind = dict(docs.select(doc_id).dtypes)[doc_id]
-    schema = f"id {kind}, n_words long, phrases array<struct<word: long, label: string>>, blocks array<struct<line: long, label: string, containment: double>>"
+    schema = f"id {kind}, n_words long, phrases array<struct<word: long, label: string>>, blocks array<struct<line: long, label: string, containment: double>>, windows array<struct<word: long, label: string, containment: double>>"
     source = docs.select(F.col(doc_id).alias("id"), F.col(text).alias("t"))
     parts = [source.mapInArrow(one_group(c, phrases if k == 0 else {}), schema) for k, c in enumerate(compiled)]
     out = parts[0]
     for more in parts[1:]:  # rows of further passes carry matches only
-        out = out.unionByName(more.withColumn("n_words", F.lit(None).cast("long")).where(F.size("blocks") > 0))
+        out = out.unionByName(more.withColumn("n_words", F.lit(None).cast("long")).where("size(blocks) > 0 or size(windows) > 0"))
     return out.withColumnRenamed("id", doc_id)
 
 
 def op1(docs: DataFrame) -> DataFrame:
     """The digest columns of a scan: places and labels of phrases, and the labels and best score of the join."""
     base = F.array_sort(F.array_distinct(F.col("phrases.label")))
-    every = F.array_sort(F.array_distinct(F.concat("phrases.label", "blocks.label")))
+    every = F.array_sort(F.array_distinct(F.concat("phrases.label", "blocks.label", "windows.label")))
     return scan(docs).select(
         "doc_id",
         "n_words",
@@ -179,5 +226,5 @@ def op1(docs: DataFrame) -> DataFrame:
         F.array_max("phrases.word").alias("last_word"),
         F.array_join(base, ",").alias("base_labels"),
         F.array_join(every, ",").alias("labels"),
-        F.when(F.size("phrases") > 0, F.lit(1.0)).otherwise(F.coalesce(F.array_max("blocks.containment"), F.lit(0.0))).alias("score"),
+        F.when(F.size("phrases") > 0, F.lit(1.0)).otherwise(F.coalesce(F.array_max(F.concat("blocks.containment", "windows.containment")), F.lit(0.0))).alias("score"),
     )

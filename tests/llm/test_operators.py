@@ -63,6 +63,40 @@ def test_licence_join_finds_every_block(real):
     assert got == want and want
 
 
+WRAPPED = {
+    "mit": "Permission is hereby granted, free of charge, to any person\nobtaining a copy of this software and associated\ndocumentation files (the \"Software\"), to deal",
+    "gpl": "# This program is free software: you can redistribute it\n# and/or modify it under the terms of the GNU\n# General Public\n# License as published",
+    "bsd": " * Redistribution and use in source and binary\n * forms, with or without\n * modification, are permitted provided",
+    "mpl": "// This Source Code Form is subject to the\r\n// terms of the Mozilla Public\r\n// License, v. 2.0. If a copy",
+}
+
+
+def test_wrapped_licence_notices(spark, real):
+    prose = "\n".join(r["text"] for r in real.limit(3).collect())
+    texts = {k: f"{prose}\n{notice}\n{prose}" for k, notice in WRAPPED.items()}
+    out = license_scan.op1(spark.createDataFrame(list(texts.items()), "doc_id string, text string")).collect()
+    assert len(out) == 4 and all(r["doc_id"] in r["labels"].split(",") and r["score"] == 1.0 for r in out)
+
+
+def test_licence_windows_against_brute_force(spark):
+    rng = np.random.default_rng(5)
+    templates = [("a", "p q r s t u p"), ("b", "q v w x y"), ("c", "z p")]
+    made = [(k, "".join(rng.choice(list("pqrstuvwxyz....."), 60).astype(object) + rng.choice([" ", "\n"], 60))) for k in range(60)]
+    got = {}
+    for r in license_scan.scan(spark.createDataFrame(made, "doc_id long, text string"), templates=templates).collect():
+        for x in r["windows"]:
+            got[r["doc_id"], x["label"]] = max(x["containment"], got.get((r["doc_id"], x["label"]), 0))
+    want = {}
+    for k, text in made:
+        words = license_scan.words_of(text)
+        for label, wording in templates:
+            t, width = set(license_scan.words_of(wording)), -(-5 * len(wording.split()) // 4)
+            best = max(len(t & set(words[j : j + width])) for j in range(len(words))) / len(t)
+            if best >= 0.8:
+                want[k, label] = best
+    assert got == want and want
+
+
 def secrets_of(text):
     out = []
     for k, (pattern, least, group, flags) in enumerate(((secret_scan.BASE[0].pattern, 6, 2, re.A | re.I), (r"AKIA[A-Z0-9]+", 20, 0, re.A), (r"[0-9a-f]+", 24, 0, re.A))):
