@@ -367,7 +367,7 @@ def _grid(s: SparkSession) -> FactorGraph:
 query("exp_table1_grid")(lambda s, d: s.createDataFrame([tuple((r := experiments.table1(_grid(s), 12, BPConfig(damping=0.0, beta=1e-3))).values())], "parts int, rel_com_cost double, rel_work_balance double, informed_balance double, partition_seconds double"))
 query("exp_overpartition_trials")(lambda s, d: experiments.overpartition_trials(_grid(s), 6, (1, 5), 10))
 query("exp_scaling_grid")(lambda s, d: experiments.scaling(_grid(s), (1, 4), (1, 2), BPConfig(damping=0.0, beta=1e-3, send_every=0), 40))
-query("exp_ablation_docs")(lambda s, d: experiments.ablate(settled(gallery.docs_mln(s, d)), BPConfig(beta=1e-3), 12_000, 4))
+query("exp_ablation_docs")(lambda s, d: experiments.ablate(settled(gallery.docs_mln(s, d)), BPConfig(beta=1e-3)))
 query("gibbs_accuracy")(lambda s, d: _gibbs(s, d))
 
 

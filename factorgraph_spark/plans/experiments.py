@@ -72,14 +72,18 @@ def scaling(fg: FactorGraph, workers=(1, 2, 4, 8), overs=(1, 5), cfg: BPConfig |
     return fg.spark.createDataFrame(out, "workers int, over int, rounds long, modelled double, seconds double, messages long, vertex_updates long, edge_updates long, utilisation double, converged boolean")
 
 
-def ablate(fg: FactorGraph, cfg: BPConfig | None = None, max_updates: int = 300_000, points: int = 20) -> DataFrame:
-    """residual, sweep, vertex_updates, edge_updates, max_residual along a run: the four combinations, all under one rule for gaps."""
+def ablate(fg: FactorGraph, cfg: BPConfig | None = None, max_updates: int | None = None, points: int = 20) -> DataFrame:
+    """residual, sweep, vertex_updates, edge_updates, max_residual along a run: the four combinations, all under one rule for gaps.
+
+    Each runs to convergence, with a point every as many updates as the graph has vertices, and is given up (not converged) after 1,000
+    updates per vertex. max_updates: a bound instead, with this many points up to it.
+    """
     out = []
     for residual in ("message", "belief"):
         for sweep in ("volume", "work"):
             b = baselines.whole_block(fg, replace(cfg or BPConfig(), residual=residual, sweep=sweep))
-            for k in range(1, points + 1):
-                b.run_sweeps(None, k * max_updates // points)
+            for k in range(1, (1000 if max_updates is None else points) + 1):
+                b.run_sweeps(None, k * len(b.ids) if max_updates is None else k * max_updates // points)
                 worst = b.worst()
                 out.append((residual, sweep, b.vertex_updates, b.edge_updates, float(min(worst, 1e9)), worst <= b.cfg.beta))
                 if worst <= b.cfg.beta:

@@ -207,32 +207,35 @@ def grid_synthetic(spark: SparkSession, rows: int = 500, columns: int = 500, lev
 def docs_mln(spark: SparkSession, sf_dir: str) -> FactorGraph:
     """Quality and toxicity bits of documents, trust of sources, a hub per language, and match bits of documents that begin alike.
 
-    Documents that share their first 24 characters are linked in order of id: match bits of neighbours and of next neighbours, closed by
-    transitivity clauses of three literals. Labels clamp what they know.
+    Every document is linked to the least id of its text, so equal texts are all linked through their class, however many copies there
+    are. These representatives, where they share their first 24 characters, are linked in order of id: match bits of neighbours and of
+    next neighbours, closed by transitivity clauses of three literals. Labels clamp what they know.
     """
     d = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
     labels = table(spark, sf_dir, "labels")
     n = d.join(labels, "doc_id", "left")
     clamp = lambda c: F.when(F.col(c) == 1, 3.0).when(F.col(c) == 0, -3.0).otherwise(0.0)
     named = lambda c, kind: vid(F.pmod(F.xxhash64(c), F.lit(1 << 50)), kind)
-    w = Window.partitionBy(F.lower(F.substring("text", 1, 24))).orderBy("doc_id")
-    lead = d.select("doc_id", "text", *[F.lead(c, k).over(w).alias(f"{c}{k}") for k in (1, 2) for c in ("doc_id", "text")])
+    # A null text is a class of its own.
+    c = d.select("doc_id", F.lower(F.substring("text", 1, 24)).alias("start"), F.coalesce(F.sha2("text", 256), F.col("doc_id").cast("string")).alias("digest"))
+    first = c.groupBy("digest").agg(F.min("doc_id").alias("first"), F.first("start").alias("start"))
+    w = Window.partitionBy("start").orderBy("first")
+    lead = first.select(F.col("first").alias("doc_id"), *[F.lead("first", k).over(w).alias(f"doc_id{k}") for k in (1, 2)])
     pair = lambda a, b: vid(F.pmod(F.xxhash64(F.col(a), F.col(b)), F.lit(1 << 50)), LINE)
-    match = lambda k: lead.where(f"doc_id{k} is not null").select(pair("doc_id", f"doc_id{k}").alias("vid"), _binary(F.when(F.col("text") == F.col(f"text{k}"), 3.0).otherwise(-0.5)).alias("prior"), F.col("doc_id").alias("a"), F.col(f"doc_id{k}").alias("b"))
-    m1, m2 = match(1), match(2)
+    match = lambda df, a, b, odds: df.where(F.col(b).isNotNull()).select(pair(a, b).alias("vid"), _binary(F.lit(odds)).alias("prior"), F.col(a).alias("a"), F.col(b).alias("b"))
+    copies = match(first.join(c, "digest").where("doc_id > first"), "first", "doc_id", 3.0)
+    both = copies.unionByName(match(lead, "doc_id", "doc_id1", -0.5)).unionByName(match(lead, "doc_id", "doc_id2", -0.5))
     variables = _variables(
         n.select(vid(F.col("doc_id"), ORDER).alias("vid"), _binary(clamp("quality")).alias("prior")),
         n.select(vid(F.col("doc_id"), CUSTOMER).alias("vid"), _binary(clamp("toxic")).alias("prior")),
         d.select(named("source", SUPPLIER).alias("vid")).distinct().select("vid", _binary(F.lit(0.0)).alias("prior")),
         d.select(named("lang", NATION).alias("vid")).distinct().select("vid", _binary(F.lit(0.0)).alias("prior")),
-        m1.select("vid", "prior"),
-        m2.select("vid", "prior"),
+        both.select("vid", "prior"),
     )
     quality, toxic = vid(F.col("doc_id"), ORDER), vid(F.col("doc_id"), CUSTOMER)
     implies = Clause("match & quality -> quality", 0.8, ((0, 0), (1, 0), (2, 1)))
     closes = Clause("match & match -> match", 1.0, ((0, 0), (1, 0), (2, 1)))
     three = lambda df, name, a, b, c: df.select(F.concat_ws("|", F.lit(name), a.cast("string"), b.cast("string"), c.cast("string")).alias("key"), a.alias("v0"), b.alias("v1"), c.alias("v2"))
-    both = m1.unionByName(m2)
     triple = lead.where("doc_id2 is not null")
     return ground(
         spark,

@@ -102,3 +102,31 @@ def test_workloads_are_sound(spark):
     for g in (gallery.docs_mln(spark, SMALL), gallery.page_hosts(spark, SMALL), gallery.events_chains(spark, SMALL)):
         assert {r["rule"]: r["violations"] for r in g.validate().collect() if r["violations"]} == {}
     assert np.allclose([sum(r) for r in gallery.emission()], 1)
+
+
+def test_equal_texts_are_linked_however_many(spark, tmp_path):
+    texts = {k: "The same twenty-four characters, then " + (f"another end {k}" if k % 5 else "a copy") for k in range(30)} | {40: None, 41: None, 42: "", 43: ""}
+    spark.createDataFrame([(k, t, "en", "web") for k, t in texts.items()], "doc_id long, text string, lang string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(1, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    g = gallery.docs_mln(spark, str(tmp_path))
+    assert not [r for r in g.validate().collect() if r["violations"]]
+    prior = {r["vid"]: r["prior"][1] for r in g.variables.collect()}
+    factors = {}
+    for r in g.edges.collect():
+        factors.setdefault(r["fid"], {})[r["slot"]] = r["vid"]
+    same = [(f[1] // 16, f[2] // 16) for f in factors.values() if len(f) == 3 and prior[f[0]] == 3.0 and f[1] // 2 % 8 == f[2] // 2 % 8 == gallery.ORDER]
+    klass = {k: k for k in texts}
+    for _ in texts:
+        for a, b in same:
+            klass[a] = klass[b] = min(klass[a], klass[b])
+    for a in texts:
+        for b in texts:
+            assert (klass[a] == klass[b]) == (a == b or (texts[a] is not None and texts[a] == texts[b]))
+
+
+def test_ablation_runs_to_convergence(spark):
+    from factorgraph_spark.plans import catalogue
+
+    rows = catalogue.queries()["exp_ablation_docs"](spark, SMALL).collect()
+    assert len({(r["residual"], r["sweep"]) for r in rows}) == 4
+    assert len([r for r in rows if r["converged"]]) == 4
