@@ -293,11 +293,12 @@ def _contract(s: SparkSession, d: str) -> DataFrame:
 
 @query("multilevel_cut_quality")
 def _quality(s: SparkSession, d: str) -> DataFrame:
-    g = settled(gallery.grid_synthetic(s, 60, 60))
+    g = _grid(s, d)
     costs, work = partition.edge_cost(g), partition.vertex_work(g)
     rows = []
-    for name, a in (("multilevel", partition.multilevel(g, 8).withColumnRenamed("piece", "block")), ("hash", partition.hash_parts(g, 8)), ("range", partition.range_parts(g, 8))):
-        rows.append((name, partition.cut_cost(costs, a).first()["cut_cost"], partition.work_balance(work, a, 8).first()["balance"]))
+    for name, a in (("multilevel", partition.multilevel(g, PARTS).withColumnRenamed("piece", "block")), ("hash", partition.hash_parts(g, PARTS)), ("range", partition.range_parts(g, PARTS))):
+        a = cut(a)
+        rows.append((name, partition.cut_cost(costs, a).first()["cut_cost"], partition.work_balance(work, a, PARTS).first()["balance"]))
     return s.createDataFrame(rows, "method string, cut_cost double, balance double")
 
 
@@ -357,16 +358,33 @@ query("grid_embeddings_pixels", "SELECT vec_id AS r, (i - 1)::INT AS c, CASE WHE
 query("grid_edges_synthetic", "SELECT count(*) AS n, 2 * 40 * 39 AS expected FROM (SELECT r, c FROM (SELECT unnest(range(40)) AS r) a, (SELECT unnest(range(39)) AS c) b UNION ALL SELECT r, c FROM (SELECT unnest(range(39)) AS r) a, (SELECT unnest(range(40)) AS c) b) e")(lambda s, d: gallery.grid_synthetic(s, 40, 40).edges.where("slot = 0").agg(F.count(F.lit(1)).alias("n")).withColumn("expected", F.lit(2 * 40 * 39)))
 
 
-# Experiments (small stand-ins; plans.experiments takes any graph)
+# Experiments, on graphs grounded from the tables and in the settings of the survey
 
+PARTS, WORKERS, OVERS, TRIALS = 120, (1, 2, 4, 8, 20, 60, 120), (1, 2, 5, 10), 30
+_EXACT = BPConfig(damping=0.0, beta=1e-3, send_every=0)
 
-def _grid(s: SparkSession) -> FactorGraph:
-    return settled(gallery.grid_synthetic(s, 24, 24, 3))
 
+def _grid(s: SparkSession, d: str) -> FactorGraph:
+    return settled(gallery.grid_lineitem(s, d))
 
-query("exp_table1_grid")(lambda s, d: s.createDataFrame([tuple((r := experiments.table1(_grid(s), 12, BPConfig(damping=0.0, beta=1e-3))).values())], "parts int, rel_com_cost double, rel_work_balance double, informed_balance double, partition_seconds double"))
-query("exp_overpartition_trials")(lambda s, d: experiments.overpartition_trials(_grid(s), 6, (1, 5), 10))
-query("exp_scaling_grid")(lambda s, d: experiments.scaling(_grid(s), (1, 4), (1, 2), BPConfig(damping=0.0, beta=1e-3, send_every=0), 40))
+
+@query("exp_table1_grid")
+def _table1(s: SparkSession, d: str) -> DataFrame:
+    """The cuts of the grid, the returns and the documents; update counts come from a run to convergence, damped where cycles ask for it."""
+    out = []
+    for name, ground, cfg in (("grid_lineitem", gallery.grid_lineitem, _EXACT), ("returns_mln", gallery.returns_mln, _EXACT), ("docs_mln", gallery.docs_mln, BPConfig(beta=1e-3))):
+        out.append((name, *experiments.table1(settled(ground(s, d)), PARTS, cfg, None).values()))
+    return s.createDataFrame(out, "graph string, parts int, rel_com_cost double, rel_work_balance double, informed_balance double, partition_seconds double")
+
+
+@query("exp_scaling_grid")
+def _scaling(s: SparkSession, d: str) -> DataFrame:
+    """Runs of the grid and of the returns on logical workers."""
+    runs = [experiments.scaling(settled(ground(s, d)), WORKERS, (1, 5), _EXACT).select(F.lit(name).alias("graph"), "*") for name, ground in (("grid_lineitem", gallery.grid_lineitem), ("returns_mln", gallery.returns_mln))]
+    return runs[0].unionByName(runs[1])
+
+
+query("exp_overpartition_trials")(lambda s, d: experiments.overpartition_trials(_grid(s, d), 60, OVERS, TRIALS))
 query("exp_ablation_docs")(lambda s, d: experiments.ablate(settled(gallery.docs_mln(s, d)), BPConfig(beta=1e-3)))
 query("gibbs_accuracy")(lambda s, d: _gibbs(s, d))
 
@@ -374,7 +392,7 @@ query("gibbs_accuracy")(lambda s, d: _gibbs(s, d))
 def _gibbs(s: SparkSession, d: str) -> DataFrame:
     """mean_l1 of the shared queue's beliefs against Gibbs chains, and how far the chains agree, on the supplier star."""
     g = settled(gallery.supplier_star(s, d))
-    draws = cut(baselines.gibbs_binary(g, 4000, 500, 2))
+    draws = cut(baselines.gibbs_binary(g))
     mean = draws.groupBy("vid", "state").agg(F.avg("belief").alias("belief"))
     b = baselines.block_beliefs(s, baselines.shared_queue_sweep(g, beta=1e-6, damping=0.0))
     return metrics.mean_l1(b, mean).crossJoin(baselines.agreement(draws).select(F.col("mean_l1").alias("chains")))  # one row each
@@ -382,7 +400,7 @@ def _gibbs(s: SparkSession, d: str) -> DataFrame:
 
 @query("block_bp_round_log")
 def _round_log(s: SparkSession, d: str) -> DataFrame:
-    return block_bp.run(_grid(s), cfg=BPConfig(workers=4, over=2, damping=0.0, beta=1e-3, send_every=0)).round_log()
+    return block_bp.run(_grid(s, d), cfg=_EXACT).round_log()
 
 
 @query("planner_rewrites")

@@ -130,3 +130,30 @@ def test_ablation_runs_to_convergence(spark):
     rows = catalogue.queries()["exp_ablation_docs"](spark, SMALL).collect()
     assert len({(r["residual"], r["sweep"]) for r in rows}) == 4
     assert len([r for r in rows if r["converged"]]) == 4
+
+
+def test_experiments_are_registered_on_the_tables_in_full(spark, monkeypatch):
+    from factorgraph_spark.plans import catalogue, experiments
+
+    q, seen = catalogue.queries(), []
+    names = ("parts", "rel_com_cost", "rel_work_balance", "informed_balance", "partition_seconds")
+    monkeypatch.setattr(experiments, "table1", lambda g, parts, cfg, bound: seen.append((g.variables.count(), parts, bound)) or dict(zip(names, (parts, 1.0, 1.0, 1.0, 1.0))))
+    monkeypatch.setattr(experiments, "scaling", lambda g, *a: seen.append((g.variables.count(), *a[:2])) or spark.createDataFrame([(1,)], "workers int"))
+    monkeypatch.setattr(experiments, "overpartition_trials", lambda g, *a: seen.append((g.variables.count(), *a)) or spark.createDataFrame([(1,)], "over int"))
+    monkeypatch.setattr(block_bp, "run", lambda g, cfg: seen.append((g.variables.count(), cfg.workers, cfg.max_rounds)) or block_bp.Result(g, g.variables))
+    grid, returns, docs = (g(spark, SMALL).variables.count() for g in (gallery.grid_lineitem, gallery.returns_mln, gallery.docs_mln))
+    assert [r["graph"] for r in q["exp_table1_grid"](spark, SMALL).collect()] == ["grid_lineitem", "returns_mln", "docs_mln"]
+    assert [r["graph"] for r in q["exp_scaling_grid"](spark, SMALL).collect()] == ["grid_lineitem", "returns_mln"]
+    q["exp_overpartition_trials"](spark, SMALL), q["block_bp_round_log"](spark, SMALL)
+    workers = (1, 2, 4, 8, 20, 60, 120)
+    assert seen[:3] == [(grid, 120, None), (returns, 120, None), (docs, 120, None)]
+    assert seen[3:] == [(grid, workers, (1, 5)), (returns, workers, (1, 5)), (grid, 60, (1, 2, 5, 10), 30), (grid, 4, 500)]
+
+
+def test_gibbs_accuracy_draws_every_sample(spark, monkeypatch):
+    from factorgraph_spark.plans import catalogue
+
+    drawn, draw = [], baselines.gibbs_binary
+    monkeypatch.setattr(baselines, "gibbs_binary", lambda g, samples=125_000, burn_in=25_000, chains=4: drawn.append((samples, burn_in, chains)) or draw(g, samples, burn_in, chains))
+    rows = catalogue.queries()["gibbs_accuracy"](spark, SMALL).collect()
+    assert drawn == [(125_000, 25_000, 4)] and len(rows) == 6 and max(r["mean_l1"] for r in rows) < 0.05
