@@ -70,28 +70,27 @@ def incremental(fg: FactorGraph, result: block_bp.Result, evidence: DataFrame, c
     """Goes on from a finished run after new evidence (vid, state, strength): only what the change reaches is updated again.
 
     The touched variables' sums take in the new odds and their residual grows by the change; messages, beliefs and everything else stay.
+    Strengths of one variable's state add up. Each block gets the evidence of its own variables by a cogroup, whatever the number of rows.
     """
     import pickle
 
-    found = evidence.select("vid", "state", "strength")
-    known = {r["vid"]: (r["state"], r["strength"]) for r in found.limit(100_000).collect()}  # one micro-batch
-
-    def touch(batches):
-        for batch in batches:
-            bodies, worst = [], []
-            for body in batch.column("body"):
-                b = pickle.loads(body.as_buffer())
-                for v in known.keys() & b.where.keys():
-                    k, (s, x) = b.where[v], known[v]
-                    if k < b.n_var:
-                        b.prior[k, s] += x
-                        b.total[k, s] += x
-                        b.promote(k, b.residual[k] + 2 * math.tanh(abs(x)))
-                bodies.append(pickle.dumps(b, 5))
-                worst.append(b.worst())
-            yield pa.RecordBatch.from_arrays([batch.column("block"), pa.array(bodies, pa.binary()), pa.array(worst, pa.float64()), pa.array(["state"] * len(bodies))], ["block", "body", "max_residual", "kind"])
-
-    state = cut(result.state.select("block", "body").mapInArrow(touch, "block long, body binary, max_residual double, kind string"))
+    found = evidence.groupBy("vid", "state").agg(F.sum("strength").alias("strength")).where("strength is not null")
+    homes = block_bp._unpacked(result.state, lambda b: [(v, b.number) for v in b.ids[: b.n_var]], "vid long, block long")
+    own = found.join(homes, "vid").select("block", "vid", "state", "strength")
+
+    def touch(states: pa.Table, news: pa.Table) -> pa.Table:
+        b = pickle.loads(states.column("body")[0].as_buffer())
+        rows = sorted(zip(*(news.column(c).to_pylist() for c in ("vid", "state", "strength"))))
+        for v, s, x in rows:
+            k = b.where[v]
+            b.prior[k, s] += x
+            b.total[k, s] += x
+            b.promote(k, b.residual[k] + 2 * math.tanh(abs(x)))
+        body, worst = pa.array([pickle.dumps(b, 5)], pa.binary()), pa.array([b.worst()], pa.float64())
+        return pa.table({"block": pa.array([b.number], pa.int64()), "body": body, "max_residual": worst, "kind": pa.array(["state"])})
+
+    blocks = result.state.select("block", "body").groupBy("block")
+    state = cut(blocks.cogroup(own.groupBy("block")).applyInArrow(touch, "block long, body binary, max_residual double, kind string"))
     return block_bp.resume(block_bp.Result(fg, state, list(result.rounds)), cfg, max_rounds=len({r["round"] for r in result.rounds}) + cfg.max_rounds)
 
 

@@ -157,3 +157,21 @@ def test_gibbs_accuracy_draws_every_sample(spark, monkeypatch):
     monkeypatch.setattr(baselines, "gibbs_binary", lambda g, samples=125_000, burn_in=25_000, chains=4: drawn.append((samples, burn_in, chains)) or draw(g, samples, burn_in, chains))
     rows = catalogue.queries()["gibbs_accuracy"](spark, SMALL).collect()
     assert drawn == [(125_000, 25_000, 4)] and len(rows) == 6 and max(r["mean_l1"] for r in rows) < 0.05
+
+
+def test_incremental_takes_all_evidence(spark):
+    from pyspark.sql import functions as F
+
+    from factorgraph_spark.streaming import evidence
+
+    g = gallery.literal(spark, [[0.0, 0.0]] * 6, [([k, k + 1], potts(2, 0.7)) for k in range(5)])
+    cfg = BPConfig(damping=0.0, beta=1e-9, workers=2, over=1)
+    news = [(0, 1, 0.4), (0, 1, 0.5), (0, 0, 0.2), (10, 0, 1.5)]
+    many = spark.range(120_000).select((F.col("id") % 2 * 6).alias("vid"), F.lit(1).alias("state"), F.lit(1e-5).alias("strength"))  # 0.6 each on 0 and 3
+    e = many.unionByName(spark.createDataFrame(news, "vid long, state int, strength double"))
+    first = block_bp.run(g, cfg=cfg)
+    second = evidence.incremental(g, first, e, cfg)
+    want = gallery.literal(spark, [[0.2, 1.5], [0.0, 0.0], [0.0, 0.0], [0.0, 0.6], [0.0, 0.0], [1.5, 0.0]], [([k, k + 1], potts(2, 0.7)) for k in range(5)])
+    assert second.converged and close(second.beliefs, exact.enumerate_all(want))
+    again = evidence.incremental(g, second, spark.createDataFrame([], e.schema), cfg)
+    assert again.converged and close(again.beliefs, second.beliefs)
