@@ -285,7 +285,10 @@ def predict(docs: DataFrame, model: Model, *, doc_id: str = "doc_id", text: str
 
 
 def accept(docs: DataFrame, model: Model, *, text: str = "text", least: float = 0.5) -> DataFrame:
-    """The rows of docs whose language is determined with a score of at least ``least``; all columns stay, nothing is shuffled."""
+    """The rows of docs whose language is determined with a score of at least ``least``; all columns stay, nothing is shuffled.
+
+    A model without a language (no labelled document to learn from) can't tell, so only texts without a letter are rejected.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     @tidy
@@ -293,7 +296,7 @@ def accept(docs: DataFrame, model: Model, *, text: str = "text", least: float =
         scorer = Scorer(shared.value)
         for batch in batches:
             found = scorer.texts(strings(batch))
-            yield pa.array([bool(len(logs)) and worded and 1 / np.exp(logs - logs.max()).sum() >= least for worded, logs in found], pa.bool_())
+            yield pa.array([bool(worded) and (not len(logs) or bool(1 / np.exp(logs - logs.max()).sum() >= least)) for worded, logs in found], pa.bool_())
 
     return docs.where(F.arrow_udf(sure, T.BooleanType())(F.col(text)))
 

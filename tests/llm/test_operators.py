@@ -139,6 +139,13 @@ def test_language(spark, real, docs):
     assert {r["lang_pred"] for r in langid.predict(docs, langid.train(empty(docs))).collect()} == {"und"}
 
 
+def test_accept_without_a_learned_language(docs, real):
+    bare = real.withColumn("lang", F.lit(None).cast("string"))
+    model = langid.train(bare)
+    assert langid.accept(bare, model).count() == real.where(F.expr(r"text rlike '\\p{L}'")).count() > 0
+    assert {r["doc_id"] for r in langid.accept(docs, model).collect()} == {k for k, t in enumerate(ODD) if any(c.isalpha() for c in t or "")}
+
+
 def test_forward_sums_all_segmentations():
     pieces = ["a", "b", "ab", "ba", "aba"]
     probs = np.vstack([np.array([[0.3, 0.1], [0.2, 0.2], [0.2, 0.3], [0.2, 0.1], [0.1, 0.3]]), np.zeros(2)])
