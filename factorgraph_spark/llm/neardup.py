@@ -2,15 +2,15 @@
 
 1. ``sketch``: every document's set of hashed word shingles becomes a digest of the set and a signature of ``SYMBOLS`` b-bit minhash values.
    Documents with equal sets are one class from here on, so that a group of exact copies of any size is a single row.
-2. The first ``INDEXED`` symbols are split into chunks of ``CHUNK``. Two signatures within ``INDEX_ERRORS`` differences there have, by
-   pigeonhole, a chunk with at most one difference; posting every chunk with each of its symbols left out in turn therefore brings
-   them under a common key. At a similarity of 0.8 more differences than that have a probability below 1e-6.
-3. In a bucket every member is paired with one pivot (linear, never all pairs); pairs within the Hamming threshold are confirmed on whole
-   sets, the best of each document first, and confirmed links give components.
+2. Two signatures are near if at most ``INDEX_ERRORS`` of their first ``INDEXED`` symbols differ and at least ``least_matches`` of all symbols
+   agree. The indexed symbols are split into chunks of ``CHUNK``; within that many errors there is, by pigeonhole, a chunk with at most one
+   of them, so posting every chunk with each of its symbols left out in turn brings every near pair under a common key. At a similarity of 0.8 a
+   pair is not near with a probability of about 1e-5.
+3. Every member of a bucket is paired with the bucket's least member (linear, never all pairs; buckets of the same members name the same
+   pair), every member's best near pair is confirmed on whole sets, and confirmed links give components.
 4. Completeness: a bucket that still spans several components is compared across them, in blocks of bounded size dealt over tasks. Components
-   with a pair within the Hamming threshold form a cell. Within a cell, whole sets meet in blocks of bounded size, every pair within the
-   threshold whose components are still apart is confirmed, and what leaves a task is the links that join components: fewer than its
-   members. No candidate is capped or left out.
+   with a near pair form a cell. Within a cell, whole sets meet in blocks of bounded size, every near pair whose components are still apart is
+   confirmed, and what leaves a task is the links that join components: fewer than its members. No candidate is capped or left out.
 
 Components use alternating star contractions on distributed edge tables; edges, sets and fingerprints never come to the driver.
 """
@@ -26,14 +26,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, strings, tidy, utf8
+from .common import cut, forget, landed, strings, tidy, utf8
 
 SYMBOLS, INDEXED, CHUNK = 128, 48, 4
 INDEX_ERRORS = 2 * (INDEXED // CHUNK) - 1
 #: Members of a bucket that one task compares with as many others.
 BLOCK = 1024
-#: Edges up to which one task joins them into components.
-TASK_EDGES = 200_000
 #: Ids up to which a side is broadcast; beyond, the join shuffles.
 BROADCAST_IDS = 1_000_000
 #: Bytes of text that are hashed together.
@@ -170,24 +168,27 @@ def _confirm(percent: int):
 
 
 def restrict(docs: DataFrame, ids: DataFrame, how: str, column: str) -> DataFrame:
-    """docs semi- or anti-joined with ids: without a shuffle of docs as long as the ids are few."""
+    """docs joined with ids by column: without a shuffle of docs as long as the ids are few."""
     few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
     return docs.join(F.broadcast(ids) if few else ids, column, how)
 
 
-def _sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
-    """id and set (sorted hashes as bytes) of the documents with these ids."""
+def _sets(docs: DataFrame, classes: DataFrame, cids: DataFrame, width: int) -> DataFrame:
+    """cid and set (sorted hashes as bytes) of the classes with these numbers, from the rows with their least id and their digest."""
+    wanted = classes.join(cids, "cid").select("id", "digest", "cid")
 
     @tidy
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = 0
             for held in _grouped(strings(batch.column("t"))):
-                sets = pa.array([s.tobytes() for s in shingle_sets(held, width)], pa.binary())
-                yield pa.RecordBatch.from_arrays([batch.column("id").slice(at, len(held)), sets], ["id", "set"])
+                part = batch.slice(at, len(held))
+                sets = [s.tobytes() for s in shingle_sets(held, width)]
+                same = [hashlib.md5(s, usedforsecurity=False).digest() == d for s, d in zip(sets, part.column("digest").to_pylist())]
+                yield pa.RecordBatch.from_arrays([part.column("cid"), pa.array(sets, pa.binary())], ["cid", "set"]).filter(pa.array(same, pa.bool_()))
                 at += len(held)
 
-    return restrict(docs, ids, "left_semi", "id").mapInArrow(make, "id long, set binary")
+    return restrict(docs, wanted, "inner", "id").select("t", "digest", "cid").mapInArrow(make, "cid long, set binary")
 
 
 class _Joined:
@@ -219,25 +220,26 @@ def _forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """node and component (its least node) for every node of the edges (a, b).
-
-    At most TASK_EDGES edges are joined by one task; more by alternating star contractions, from forests that tasks have made of their own.
-    """
-    edges = cut(edges.where("a != b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")))
-    if edges.limit(TASK_EDGES + 1).count() <= TASK_EDGES:
-        return cut(edges.coalesce(1).mapInArrow(_forest, "node long, component long"))
+    """node and component (its least node) for every node of the edges (a, b): alternating star contractions, from forests that tasks have
+    made of their own edges. What a round has replaced is removed from the shared folder."""
+    spark = edges.sparkSession
+    edges = edges.where("a != b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
     edges = edges.mapInArrow(_forest, "node long, component long").where("node != component").toDF("u", "v").distinct()
+    edges, path = landed(edges, "links")
     state = None
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
-        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        large = large.where("u != v")
+        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v")
+        # A star's own least end is linked to the star's centre; the others keep to the least.
+        large = large.distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e"))
-        edges = cut(small.select("e.u", "e.v").where("u != v").distinct())
+        small = large.join(low, "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v"))
+        small, last = landed(small.where("u != v").distinct(), "links"), path
+        edges, path = small
         now = edges.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(u, v))")).first()
-        if now == state:
+        forget(spark, last)
+        if now == state or not now[0]:
             own = edges.select("v").distinct().select(F.col("v").alias("node"), F.col("v").alias("component"))
             return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(own)
         state = now
@@ -287,6 +289,7 @@ def _within(members: DataFrame, least: int, percent: int) -> DataFrame:
     dealt = rows.withColumn("side", F.explode(F.filter(sides, lambda x: x.isNotNull())))
     dealt = dealt.withColumn("i", F.explode("side.i")).withColumn("j", F.explode("side.j"))
     dealt = dealt.select("cell", "i", "j", F.col("side.left").alias("left"), "cid", "comp", "sig", "set")
+    dealt = dealt.repartition("cell", "i", "j")  # else the blocks of a cell stay together, where the join by cell has put them
 
     def confirm(group: pa.Table) -> pa.Table:
         cid, comp, left = (group.column(c).to_numpy() for c in ("cid", "comp", "left"))
@@ -311,13 +314,6 @@ def _within(members: DataFrame, least: int, percent: int) -> DataFrame:
     return dealt.groupBy("cell", "i", "j").applyInArrow(confirm, "a long, b long")
 
 
-def _best(pairs: DataFrame, most: int) -> DataFrame:
-    """The pairs that are among the best of either end."""
-    ends = F.explode(F.array("a", "b")).alias("end")
-    order = Window.partitionBy("end").orderBy(F.desc("m"), "a", "b")
-    return pairs.select("a", "b", "m", ends).withColumn("k", F.row_number().over(order)).where(F.col("k") <= most).select("a", "b", "m").distinct()
-
-
 def link(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", width: int = 5, percent: int = 80) -> DataFrame:
     """One row per input row: id, n_shingles, component_id (least id reachable over links) and kept (the row has that id).
 
@@ -328,20 +324,30 @@ def link(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", width:
     source = docs.select(F.col(doc_id).cast("long").alias("id"), F.col(text).alias("t"))
     least = least_matches(percent)
     sketches = cut(sketch(source, width))
-    classes = cut(sketches.where("digest is not null and id is not null").groupBy("digest").agg(F.min("id").alias("cid"), F.first("sig").alias("sig")))
-    keys = classes.select("cid", F.explode(F.array(*index_keys(F.col("sig")))).alias("key"))
-    # A bucket's pivot is the member whose id, scrambled with the key, is least: another one in every bucket.
-    buckets = keys.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min(F.col("cid").bitwiseXOR(F.col("key"))).alias("p")).where("n > 1")
-    members = cut(keys.join(buckets, "key").select("key", "cid", "n", F.col("p").bitwiseXOR(F.col("key")).alias("pivot")))
-    pairs = members.where("cid != pivot").select(F.least("cid", "pivot").alias("a"), F.greatest("cid", "pivot").alias("b")).distinct()
-    signs = classes.groupBy("cid").agg(F.first("sig").alias("sig"))
-    scored = pairs.join(signs.toDF("a", "x"), "a").join(signs.toDF("b", "y"), "b").select("a", "b", _matches("x", "y").alias("m"))
-    scored = cut(scored.where(F.col("m") >= least))
-
-    tried = _best(scored, 2)
-    sets = cut(_sets(source, tried.select(F.explode(F.array("a", "b")).alias("id")).distinct(), width))
+    classes = sketches.where("digest is not null and id is not null").groupBy("digest").agg(F.min("id").alias("id"), F.first("sig").alias("sig"))
+    classes = cut(classes.withColumn("cid", F.monotonically_increasing_id()))  # fixed by the checkpoint
+    signs = classes.select("cid", "sig")
+    keys = signs.select("cid", F.explode(F.array(*index_keys(F.col("sig")))).alias("key"))
+    buckets = keys.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("cid").alias("pivot")).where("n > 1")
+    members = cut(keys.join(buckets, "key").select("key", "cid", "n", "pivot"))
+    pairs = members.where("cid != pivot").select("cid", "pivot").distinct()
+    scored = pairs.join(signs.toDF("cid", "x"), "cid").join(signs.toDF("pivot", "y"), "pivot").select("cid", "pivot", _matches("x", "y").alias("m"))
+    best = scored.where(F.col("m") >= least).groupBy("cid").agg(F.max(F.struct("m", (-F.col("pivot")).alias("p"))).alias("best"))
+    tried = cut(best.select(F.col("cid").alias("a"), (-F.col("best.p")).alias("b")))
+
+    # Rows that share an id count as one document, whatever their texts; a class that they hold twice has its set made twice.
+    valid = sketches.where("digest is not null and id is not null")
+    again = cut(valid.groupBy("id").count().where("count > 1").select("id"))
+    repeats = again.limit(1).count() > 0
+    once = lambda sets: cut(sets.dropDuplicates(["cid"]) if repeats else sets)
+
+    sets = once(_sets(source, classes, tried.select("a").union(tried.select("b")).distinct().toDF("cid"), width))
     both = tried.join(sets.toDF("a", "x"), "a").join(sets.toDF("b", "y"), "b")
-    links = cut(both.select("a", "b", _confirm(percent)("x", "y").alias("ok")).where("ok").select("a", "b"))
+    links = both.select("a", "b", _confirm(percent)("x", "y").alias("ok")).where("ok").select("a", "b")
+    if repeats:
+        held = valid.join(again, "id").select("id", "digest").distinct().join(classes.select("digest", "cid"), "digest").select("id", "cid")
+        links = links.unionByName(held.join(held.groupBy("id").agg(F.min("cid").alias("b")), "id").where("cid != b").select(F.col("cid").alias("a"), "b").distinct())
+    links = cut(links)
     comp = components(links)
 
     spans = members.select("key", "cid", "n").join(comp.toDF("cid", "comp"), "cid", "left").withColumn("comp", F.coalesce("comp", "cid"))
@@ -351,14 +357,17 @@ def link(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", width:
         cells = components(across).toDF("comp", "cell")
         named = signs.join(comp.toDF("cid", "comp"), "cid", "left").withColumn("comp", F.coalesce("comp", "cid"))
         inside = cut(named.join(cells, "comp").select("cell", "cid", "comp", "sig"))
-        sets = cut(_sets(source, inside.select(F.col("cid").alias("id")), width))
-        more = _within(inside.join(sets.toDF("cid", "set"), "cid"), least, percent)
+        sets = once(_sets(source, classes, inside.select("cid"), width))
+        more = _within(inside.join(sets, "cid"), least, percent)
         comp = components(links.unionByName(more))
 
-    of_class = classes.select("digest", "cid").join(comp.toDF("cid", "component"), "cid", "left").select("digest", F.coalesce("component", "cid").alias("component"))
+    of_class = classes.join(comp.toDF("cid", "component"), "cid", "left").select("digest", "id", F.coalesce("component", "cid").alias("component"))
+    of_class = cut(of_class)
+    lowest = of_class.groupBy("component").agg(F.min("id").alias("component_id"))
+    of_class = of_class.join(lowest, "component").select("digest", "component_id")
     out = sketches.select("id", "n_shingles", "digest").join(of_class, "digest", "left")
-    component = F.coalesce("component", "id")
-    out = out.select(F.col("id").alias(doc_id), "n_shingles", F.when(F.col("id").isNotNull(), component).alias("component_id"))
+    component = F.when(F.col("id").isNotNull(), F.coalesce("component_id", "id"))
+    out = out.select(F.col("id").alias(doc_id), "n_shingles", component.alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col(doc_id) == F.col("component_id"), F.lit(False)))
 
 

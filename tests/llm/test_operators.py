@@ -234,12 +234,22 @@ def test_near_duplicates(docs, real, spark):
     assert len(rows(neardup.op9(docs))) == docs.count() and not rows(neardup.op9(empty(docs)))
 
 
-def test_star_contraction_equals_one_task(spark, monkeypatch):
+def test_star_contraction(spark):
     rng = np.random.default_rng(2)
-    edges = spark.createDataFrame([tuple(map(int, rng.integers(0, 400, 2))) for _ in range(330)], "a long, b long")
-    one = set(map(tuple, neardup.components(edges).collect()))
-    monkeypatch.setattr(neardup, "TASK_EDGES", 5)
-    assert set(map(tuple, neardup.components(edges).collect())) == one
+    pairs = [tuple(map(int, rng.integers(0, 400, 2))) for _ in range(330)] + [(k, k + 1) for k in range(1000, 1100)]
+    joined = neardup._Joined()
+    for a, b in pairs:
+        joined.join(a, b)
+    want = {(x, joined.root(x)) for a, b in pairs if a != b for x in (a, b)}
+    assert set(map(tuple, neardup.components(spark.createDataFrame(pairs, "a long, b long").repartition(9)).collect())) == want
+    assert not neardup.components(spark.createDataFrame([(1, 1)], "a long, b long")).collect()
+
+
+def test_near_duplicates_with_shared_ids(spark):
+    text = lambda n, *odd: " ".join([f"w{n}x{k}" for k in range(80)] + list(odd))
+    table = spark.createDataFrame([(1, text(1)), (2, text(2)), (2, text(1, "more")), (2, text(2)), (3, text(2, "and", "more")), (None, text(1)), (4, text(4)), (5, text(4, "x"))], "doc_id long, text string")
+    found = {(r["doc_id"], r["component_id"]) for r in neardup.op9(table).collect()}
+    assert found == {(1, 1), (2, 1), (3, 1), (None, None), (4, 4), (5, 4)}
 
 
 def test_packing(docs, real):
