@@ -58,13 +58,17 @@ def landed(df: DataFrame, name: str) -> tuple[DataFrame, str]:
     return spark.read.schema(df.schema).parquet(path), path
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Removes what landed at path."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def forget(spark: SparkSession, path: str) -> None:
     """Removes what landed at path, and lets Spark remove shuffles that nothing refers to any more."""
-    jvm = spark._jvm
-    at = jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    remove(spark, path)
     gc.collect()
-    jvm.System.gc()
+    spark._jvm.System.gc()
 
 
 def write_graph(fg, path: str) -> None:

@@ -87,11 +87,11 @@ def incremental(fg: FactorGraph, result: block_bp.Result, evidence: DataFrame, c
             b.total[k, s] += x
             b.promote(k, b.residual[k] + 2 * math.tanh(abs(x)))
         body, worst = pa.array([pickle.dumps(b, 5)], pa.binary()), pa.array([b.worst()], pa.float64())
-        return pa.table({"block": pa.array([b.number], pa.int64()), "body": body, "max_residual": worst, "kind": pa.array(["state"])})
+        return pa.table({"block": pa.array([b.number], pa.int64()), "body": body, "max_residual": worst})
 
     blocks = result.state.select("block", "body").groupBy("block")
-    state = cut(blocks.cogroup(own.groupBy("block")).applyInArrow(touch, "block long, body binary, max_residual double, kind string"))
-    return block_bp.resume(block_bp.Result(fg, state, list(result.rounds)), cfg, max_rounds=len({r["round"] for r in result.rounds}) + cfg.max_rounds)
+    state = cut(blocks.cogroup(own.groupBy("block")).applyInArrow(touch, "block long, body binary, max_residual double"))
+    return block_bp.resume(block_bp.Result(fg, state, list(result.rounds), mail=result.mail, mail_bytes=result.mail_bytes), cfg, max_rounds=len({r["round"] for r in result.rounds}) + cfg.max_rounds)
 
 
 def each_batch(fg: FactorGraph, result: block_bp.Result, cfg: BPConfig, sink: Callable[[DataFrame, int], None]) -> Callable[[DataFrame, int], None]:
