@@ -32,6 +32,8 @@ SYMBOLS, INDEXED, CHUNK = 128, 48, 4
 INDEX_ERRORS = 2 * (INDEXED // CHUNK) - 1
 #: Members of a bucket that one task compares with as many others.
 BLOCK = 1024
+#: Edges that a task of the star contractions holds on average.
+TASK_EDGES = 50_000
 #: Ids up to which a side is broadcast; beyond, the join shuffles.
 BROADCAST_IDS = 1_000_000
 #: Bytes of text that are hashed together.
@@ -221,28 +223,34 @@ def _forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def components(edges: DataFrame) -> DataFrame:
     """node and component (its least node) for every node of the edges (a, b): alternating star contractions, from forests that tasks have
-    made of their own edges. What a round has replaced is removed from the shared folder."""
+    made of their own edges.
+
+    Tasks hold TASK_EDGES edges each on average, so their number grows with the edges. A table of least neighbours is broadcast while it has
+    at most BROADCAST_IDS rows and joined by a shuffle beyond. What a round has replaced is removed from the shared folder.
+    """
     spark = edges.sparkSession
-    edges = edges.where("a != b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
-    edges = edges.mapInArrow(_forest, "node long, component long").where("node != component").toDF("u", "v").distinct()
-    edges, path = landed(edges, "links")
+    edges = cut(edges.where("a != b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")))
+    n = edges.count()
+    tasks = lambda: 1 + n // TASK_EDGES
+    edges = edges.coalesce(tasks()).mapInArrow(_forest, "node long, component long").where("node != component").toDF("u", "v").distinct()
+    edges, path = landed(edges.coalesce(tasks()), "links")
     state = None
     while True:
-        both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
-        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v")
-        # A star's own least end is linked to the star's centre; the others keep to the least.
-        large = large.distinct()
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v"))
-        small, last = landed(small.where("u != v").distinct(), "links"), path
-        edges, path = small
         now = edges.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(u, v))")).first()
-        forget(spark, last)
         if now == state or not now[0]:
             own = edges.select("v").distinct().select(F.col("v").alias("node"), F.col("v").alias("component"))
             return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(own)
-        state = now
+        state, n = now, now[0]
+        least = lambda e: e.groupBy("u").agg(F.min("v").alias("m")).coalesce(tasks())
+        near = lambda e: F.broadcast(least(e)) if 2 * n <= BROADCAST_IDS else least(e)
+        both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        # Every larger neighbour is linked to the least of a node and its neighbours.
+        large = both.where("v > u").join(near(both), "u").select(F.col("v").alias("u"), F.least("u", "m").alias("v"))
+        # Every smaller neighbour, and the node itself, is linked to the least of them.
+        small = large.join(near(large), "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v"))
+        last = path
+        edges, path = landed(small.distinct().coalesce(tasks()), "links")
+        forget(spark, last)
 
 
 def _signs(column) -> np.ndarray:
