@@ -1,10 +1,11 @@
 """Approximate nearest neighbours by a permutation index.
 
-A bounded sample of the vectors serves as pivots. Every vector is represented by the order of its ``ORDER`` nearest pivots. Rows are dealt
-into blocks; a block posts its vectors in pivot inverted files: for every pivot the rows that have it among their nearest, with its rank.
-A query reads the files of its own nearest pivots and adds up the footrule distance of all rows of the block (a pivot missing on one side
-counts as rank ORDER), the closest ``PART`` of the block, at least ``LEAST``, are ranked again by exact cosine, and the best of all blocks
-are merged. Every row is indexed.
+A bounded sample of the vectors serves as pivots, for every dimension its own. Every vector is represented by the order of its ``ORDER``
+nearest pivots, worked out once. Rows are dealt into blocks; a block posts its vectors in pivot inverted files: for every pivot the rows that
+have it among their ORDER nearest, with its rank. A query reads the files of its own ORDER nearest pivots only and adds up the footrule
+distance of the rows that it meets there (a pivot missing on one side counts as rank ORDER): of PIVOTS files it reads ORDER, each with a share
+of ORDER / PIVOTS of the block. The closest ``PART`` of the block, at least ``LEAST``, are ranked again by exact cosine, and the best of all
+blocks are merged. Every row is indexed.
 
 Equal vectors are one entry with its smallest ids, so copies of any number neither crowd a block nor displace each other. Queries and rows
 meet block by block: a task holds BLOCK_ROWS rows and BLOCK_QUERIES queries on average, whatever the table.
@@ -19,12 +20,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, ship, tidy
 
-PIVOTS, ORDER = 256, 128
+PIVOTS, ORDER = 512, 64
 #: Entries that pivots are chosen from, and the cosine up to which they count as apart.
 SAMPLE, APART = 4096, 0.7
-PART, LEAST = 0.05, 400
+PART, LEAST = 0.09, 45
 BLOCK_ROWS, BLOCK_QUERIES = 16_384, 8_192
 
 
@@ -33,29 +34,37 @@ def _usable(vector: Column) -> Column:
     return vector.isNotNull() & (F.size(vector) > 0) & fine & F.exists(vector, lambda x: x != 0)
 
 
-def distinct_vectors(vectors: DataFrame, most: int, *, vec_id: str, embedding: str) -> DataFrame:
-    """rep (least id), ids (the ``most`` smallest, ascending) and vec of every distinct usable vector.
+def _rows(vectors: DataFrame, vec_id: str, embedding: str) -> DataFrame:
+    """id and vec (doubles) of the usable rows, each once."""
+    rows = vectors.select(F.col(vec_id).cast("long").alias("id"), F.transform(F.col(embedding), lambda x: x.cast("double")).alias("vec"))
+    rows = rows.where(F.col("id").isNotNull() & F.coalesce(_usable(F.col("vec")), F.lit(False)))
+    return rows.withColumn("vec", F.transform("vec", lambda x: x + F.lit(0.0))).distinct()  # -0.0 is 0.0
+
+
+def distinct_vectors(rows: DataFrame, most: int) -> DataFrame:
+    """rep (least id), ids (the ``most`` smallest, ascending) and vec of every distinct vector of rows (id, vec).
 
     Each task first keeps the smallest ids of a vector it holds, so copies are not gathered.
     """
-    rows = vectors.select(F.col(vec_id).cast("long").alias("id"), F.transform(F.col(embedding), lambda x: x.cast("double")).alias("vec"))
-    rows = rows.where(F.col("id").isNotNull() & F.coalesce(_usable(F.col("vec")), F.lit(False)))
-    rows = rows.withColumn("vec", F.transform("vec", lambda x: x + F.lit(0.0)))  # -0.0 is 0.0
     first = F.row_number().over(Window.partitionBy("vec").orderBy("id"))
     few = rows.withColumn("k", first).where(F.col("k") <= most)
     return few.groupBy("vec").agg(F.min("id").alias("rep"), F.sort_array(F.collect_list("id")).alias("ids"))
 
 
-def fit_pivots(entries: DataFrame, pivots: int = PIVOTS) -> np.ndarray:
-    """At most ``pivots`` unit vectors, spread over the SAMPLE entries of lowest hashes, of the most frequent dimension.
+def fit_pivots(entries: DataFrame, pivots: int = PIVOTS) -> dict[int, np.ndarray]:
+    """By dimension: at most ``pivots`` unit vectors, spread over the SAMPLE entries of lowest hashes.
 
     A cluster of near copies, however large a part of the rows, gives a pivot or few, so the orders of the others stay telling.
     """
-    sizes = entries.groupBy(F.size("vec").alias("d")).count().orderBy(F.desc("count"), "d").limit(1).collect()
-    if not sizes:
-        return np.zeros((0, 0))
-    some = entries.where(F.size("vec") == sizes[0]["d"]).orderBy(F.xxhash64("rep"), "rep").limit(SAMPLE).select("vec").collect()
-    sample = _unit(np.array([r["vec"] for r in some]))
+    place = F.row_number().over(Window.partitionBy("d").orderBy(F.xxhash64("rep"), "rep"))
+    some = entries.select(F.size("vec").alias("d"), "rep", "vec").withColumn("k", place).where(F.col("k") <= SAMPLE)
+    samples: dict[int, list] = {}
+    for r in some.orderBy("d", "k").select("d", "vec").toLocalIterator():
+        samples.setdefault(r["d"], []).append(r["vec"])
+    return {d: _spread(_unit(np.array(vecs)), pivots) for d, vecs in samples.items()}
+
+
+def _spread(sample: np.ndarray, pivots: int) -> np.ndarray:
     chosen, near = [], np.full(len(sample), -2.0)
     while len(chosen) < min(pivots, len(sample)):
         apart = np.flatnonzero(near < APART)
@@ -97,56 +106,80 @@ class Block:
         return m * (m + 1) - off
 
 
+def _ordered(rows: DataFrame, shared) -> DataFrame:
+    """rows (with vec) with d, the dimension, and perm: the vector's order of pivots, as int16."""
+    fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in rows.schema)
+
+    @tidy
+    def order(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pivots = shared.value
+        for batch in batches:
+            vec = batch.column("vec")
+            sizes = np.diff(vec.offsets.to_numpy())
+            flat, starts = vec.flatten().to_numpy(zero_copy_only=False), np.cumsum(sizes) - sizes
+            perms: list = [None] * len(sizes)
+            for d in np.unique(sizes).tolist():
+                at = np.flatnonzero(sizes == d)
+                found = permutations(flat[starts[at][:, None] + np.arange(d)], pivots[d])
+                for k, perm in zip(at.tolist(), found):
+                    perms[k] = perm.tobytes()
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(sizes, pa.int32()), pa.array(perms, pa.binary())], [*batch.schema.names, "d", "perm"])
+
+    return rows.mapInArrow(order, f"{fields}, d int, perm binary")
+
+
 def search(vectors: DataFrame, queries: Column, *, k: int = 5, vec_id: str = "vec_id", embedding: str = "embedding", part: float = PART, least: int = LEAST) -> DataFrame:
     """query_id, rank (from 1), vec_id and score of the ``k`` nearest rows found for every row of vectors where ``queries`` holds.
 
-    Nearness is cosine in double precision on the original vectors, ties go to the smaller id, and a query never finds its own row. Vectors
-    that are null, empty, zero or hold null or non-finite components take no part; vectors of another dimension than most are compared with
-    none. Rows that share an id are separate entries. An empty table gives an empty result.
+    Nearness is cosine in double precision on the original vectors, ties go to the smaller id, and a query never finds its own id. Vectors
+    that are null, empty, zero or hold null or non-finite components take no part; vectors are compared with those of their dimension. Rows
+    of one id and vector count once, as rows and as queries; rows of one id with different vectors are separate rows and separate queries.
+    An empty table gives an empty result. Other columns, whatever their names, are seen by ``queries`` only.
     """
-    entries = cut(distinct_vectors(vectors, k + 1, vec_id=vec_id, embedding=embedding))
+    ship(vectors.sparkSession)
+    entries = cut(distinct_vectors(_rows(vectors, vec_id, embedding), k + 1))
     pivots = fit_pivots(entries)
-    width = pivots.shape[1]
-    entries = entries.where(F.size("vec") == width)
-    asked = vectors.where(queries).select(F.col(vec_id).cast("long").alias("id"), F.transform(F.col(embedding), lambda x: x.cast("double")).alias("vec"))
-    asked = cut(asked.where(F.col("id").isNotNull() & F.coalesce(_usable(F.col("vec")), F.lit(False)) & (F.size("vec") == width)))
-    n_rows, n_asked = entries.count(), asked.count()
-    row_blocks, query_blocks = max(1, -(-n_rows // BLOCK_ROWS)), max(1, -(-n_asked // BLOCK_QUERIES))
-    shared = vectors.sparkSession.sparkContext.broadcast(pivots)
-
-    deal = lambda c, blocks: F.pmod(F.xxhash64(c), F.lit(blocks)).cast("int")
-    every = lambda blocks: F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
-    left = entries.withColumn("r", deal("rep", row_blocks)).withColumn("q", every(query_blocks))
-    right = asked.withColumn("q", deal("id", query_blocks)).withColumn("r", every(row_blocks))
+    shared = vectors.sparkSession.sparkContext.broadcast(pivots)  # at most PIVOTS vectors of each dimension
+    entries = cut(_ordered(entries, shared))
+    asked = cut(_ordered(_rows(vectors.where(queries), vec_id, embedding), shared).withColumn("ask", F.monotonically_increasing_id()))
+    # Blocks by dimension.
+    held, asking = ({r["d"]: r["count"] for r in t.groupBy("d").count().collect()} for t in (entries, asked))
+    counts = [(d, max(1, -(-n // BLOCK_ROWS)), max(1, -(-asking.get(d, 0) // BLOCK_QUERIES))) for d, n in sorted(held.items())]
+    blocks = F.broadcast(vectors.sparkSession.createDataFrame(counts, "d int, nr int, nq int"))
+    deal = lambda c, n: F.pmod(F.xxhash64(c), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    left = entries.join(blocks, "d").withColumn("r", deal("rep", "nr")).withColumn("q", every("nq")).drop("nr", "nq")
+    right = asked.join(blocks, "d").withColumn("q", deal("ask", "nq")).withColumn("r", every("nr")).drop("nr", "nq")
 
     def meet(rows: pa.Table, asks: pa.Table) -> pa.Table:
-        names = ("query_id", "rep", "ids", "score")
+        names = ("ask", "query_id", "ids", "score")
         kinds = (pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.float64())
         if not rows.num_rows or not asks.num_rows:
             return pa.table([pa.array([], t) for t in kinds], names=list(names))
-        piv = shared.value
+        width = rows.column("d")[0].as_py()
         flat = lambda t: t.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, width)
-        order = np.argsort(rows.column("rep").to_numpy(), kind="stable")
-        rows = rows.take(pa.array(order))
+        perms = lambda t: np.frombuffer(b"".join(t.column("perm").to_pylist()), dtype=np.int16).reshape(t.num_rows, -1)
+        rows = rows.take(pa.array(np.argsort(rows.column("rep").to_numpy(), kind="stable")))
         x, y = flat(rows), flat(asks)
-        block = Block(permutations(x, piv), len(piv))
+        block = Block(perms(rows), len(shared.value[width]))
         take = min(len(x), max(least, int(part * len(x))))
         norms = np.sqrt((x * x).sum(axis=1))
-        qid, at, score = [], [], []
-        for perm, v, ident in zip(permutations(y, piv), y, asks.column("id").to_pylist()):
+        numbers, qid, at, score = [], [], [], []
+        for perm, v, number, ident in zip(perms(asks), y, asks.column("ask").to_pylist(), asks.column("id").to_pylist()):
             far = block.footrule(perm)
             near = np.flatnonzero(far <= np.partition(far, take - 1)[take - 1])  # ties at the edge stay
             cosine = np.array((x[near] * v).sum(axis=1) / (norms[near] * np.sqrt((v * v).sum())))
             best = near_best(cosine, k + 1)
+            numbers += [number] * len(best)
             qid += [ident] * len(best)
             at += near[best].tolist()
             score += cosine[best].tolist()
-        found = rows.select(["rep", "ids"]).take(pa.array(at, pa.int64())).combine_chunks()
-        return pa.table([pa.array(qid, kinds[0]), found.column("rep"), found.column("ids"), pa.array(score, kinds[3])], names=list(names)).cast(pa.schema(list(zip(names, kinds))))
+        ids = rows.column("ids").take(pa.array(at, pa.int64())).combine_chunks()
+        return pa.table([pa.array(numbers, kinds[0]), pa.array(qid, kinds[1]), ids, pa.array(score, kinds[3])], names=list(names)).cast(pa.schema(list(zip(names, kinds))))
 
-    found = left.groupBy("r", "q").cogroup(right.groupBy("r", "q")).applyInArrow(meet, "query_id long, rep long, ids array<long>, score double")
-    spread = found.select("query_id", "score", F.explode("ids").alias("vec_id")).where("vec_id != query_id")
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+    found = left.groupBy("d", "r", "q").cogroup(right.groupBy("d", "r", "q")).applyInArrow(meet, "ask long, query_id long, ids array<long>, score double")
+    spread = found.select("ask", "query_id", "score", F.explode("ids").alias("vec_id")).where("vec_id != query_id")
+    rank = F.row_number().over(Window.partitionBy("ask").orderBy(F.desc("score"), "vec_id"))
     return spread.withColumn("rank", rank.cast("int")).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
