@@ -10,8 +10,10 @@ every block's, and again on each line; windows slide over the places of the temp
 on the full sets. Neither pass
 shuffles text: the first sends one row per template word and task, the second nothing.
 
-Templates are a small literal table. They are broadcast in the task closure in groups of at most ``MAX_TEMPLATE_WORDS`` words; a
-larger table takes several passes over the text instead of a larger broadcast.
+The prefix words of all templates form an inverted index, so that a document or line meets only templates that share a rare word with it.
+
+Templates are a literal table, sent with the tasks in groups of at most ``MAX_TEMPLATE_WORDS`` words (a single longer template is a group of
+its own). Every group is one more step over the same rows, which adds its matches to those before: results do not depend on the groups.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import strings, tidy, utf8
+from .common import ship, strings, tidy, utf8
 
 # Phrases whose places are always reported, with their labels.
 PHRASES = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
@@ -50,7 +52,7 @@ WINDOWS = pa.list_(pa.struct([("word", pa.int64()), ("label", pa.string()), ("co
 #: Words of a window for each word of a template: room for words that a notice adds.
 WINDOW = 1.25
 
-#: Words in the templates of one pass.
+#: Words in the templates of one step.
 MAX_TEMPLATE_WORDS = 50_000
 
 #: A-Z to a-z, and every byte that is no part of a word to a space; bytes from 0x80 belong to words.
@@ -116,11 +118,22 @@ def shared_words(words: set[bytes], t: Template) -> int:
     return shared if shared >= t.need else 0
 
 
-def match_block(words: set[bytes], templates: list[Template]) -> Iterator[tuple[str, float]]:
-    """Label and containment of every template that the block reaches."""
-    for t in templates:
-        if shared := shared_words(words, t):
-            yield t.label, shared / len(t.ordered)
+class Prefixes:
+    """Templates by the words of their prefixes."""
+
+    def __init__(self, templates: list[Template]):
+        self.templates, self.by_word = templates, {}
+        for k, t in enumerate(templates):
+            for w in t.prefix:
+                self.by_word.setdefault(w, []).append(k)
+        self.rare = frozenset(self.by_word)
+
+    def reached(self, words: set[bytes], among: set[int] | None = None) -> list[tuple[int, int]]:
+        """Number and shared words of every template (of ``among``) that the words reach."""
+        met = {k for w in self.rare.intersection(words) for k in self.by_word[w]}
+        if among is not None:
+            met &= among
+        return [(k, shared) for k in sorted(met) if (shared := shared_words(words, self.templates[k]))]
 
 
 def match_windows(words: list[bytes], t: Template) -> Iterator[tuple[int, float]]:
@@ -167,6 +180,7 @@ def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", templat
     Null and empty texts have no words and no matches; repeated rows are scanned each; an empty table gives an empty result. Other
     columns of the input are not read.
     """
+    ship(docs.sparkSession)
     groups, size = [[]], 0
     for t in templates:
         size += len(words_of(t[1]))
@@ -176,44 +190,53 @@ def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", templat
     compiled: list[list[Template]] = []
     for group in groups:
         words = {w for _, wording in group for w in words_of(wording)}
-        compiled.append(compile_templates(group, block_frequencies(docs, words, text), threshold))
-
-    def one_group(part: list[Template], known: dict[str, str]):
-        rare = {w for t in part for w in t.prefix}
-
-        @tidy
-        def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                counts, places, blocks, windows = [], [], [], []
-                for t in strings(batch.column("t")):
-                    words = words_of(t)
-                    counts.append(len(words))
-                    places.append([{"word": w, "label": x} for w, x in sorted(phrase_places(words, known))] if words else [])
-                    found, across = [], []
-                    if not rare.isdisjoint(words):
-                        distinct = set(words)
-                        possible = [x for x in part if shared_words(distinct, x)]
-                        for k, line in enumerate(_lines(t) if possible else []):
-                            found += [{"line": k, "label": x, "containment": c} for x, c in match_block(set(line.translate(_WORD_BYTES).split()), possible)]
-                        for x in possible:
-                            across += [{"word": k, "label": x.label, "containment": c} for k, c in match_windows(words, x)]
-                    blocks.append(found)
-                    windows.append(across)
-                columns = [batch.column("id"), pa.array(counts, pa.int64()), pa.array(places, PLACES), pa.array(blocks, BLOCKS), pa.array(windows, WINDOWS)]
-                yield pa.RecordBatch.from_arrays(columns, ["id", "n_words", "phrases", "blocks", "windows"])
-
-        return match
+        compiled.append(compile_templates(group, block_frequencies(docs, words, text), threshold) if words else [])
 
     kind = dict(docs.select(doc_id).dtypes)[doc_id]
     schema = f"id {kind}, n_words long, phrases array<struct<word: long, label: string>>, blocks array<struct<line: long, label: string, containment: double>>, windows array<struct<word: long, label: string, containment: double>>"
-    source = docs.select(F.col(doc_id).alias("id"), F.col(text).alias("t"))
-    parts = [source.mapInArrow(one_group(c, phrases if k == 0 else {}), schema) for k, c in enumerate(compiled)]
-    out = parts[0]
-    for more in parts[1:]:  # rows of further passes carry matches only
-        out = out.unionByName(more.withColumn("n_words", F.lit(None).cast("long")).where("size(blocks) > 0 or size(windows) > 0"))
+    out = docs.select(F.col(doc_id).alias("id"), F.col(text).alias("t"))
+    for k, part in enumerate(compiled):
+        last = k == len(compiled) - 1
+        out = out.mapInArrow(_step(part, phrases if k == 0 else None, not last), schema + ("" if last else ", t string"))
     return out.withColumnRenamed("id", doc_id)
 
 
+def _step(part: list[Template], phrases: dict[str, str] | None, onward: bool):
+    """Adds one group's matches to the rows; the first step (with phrases) starts them. onward: the text goes on to the next step."""
+
+    @tidy
+    def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index = Prefixes(part)
+        for batch in batches:
+            counts, places, blocks, windows = [], [], [], []
+            for t in strings(batch.column("t")):
+                words = words_of(t)
+                if phrases is not None:
+                    counts.append(len(words))
+                    places.append([{"word": w, "label": x} for w, x in sorted(phrase_places(words, phrases))] if words else [])
+                found, across = [], []
+                if not index.rare.isdisjoint(words):
+                    possible = {k for k, _ in index.reached(set(words))}
+                    for n, line in enumerate(_lines(t) if possible else []):
+                        reached = index.reached(set(line.translate(_WORD_BYTES).split()), possible)
+                        found += [{"line": n, "label": part[k].label, "containment": shared / len(part[k].ordered)} for k, shared in reached]
+                    for k in sorted(possible):
+                        across += [{"word": at, "label": part[k].label, "containment": c} for at, c in match_windows(words, part[k])]
+                blocks.append(found)
+                windows.append(across)
+            if phrases is not None:
+                columns = [pa.array(counts, pa.int64()), pa.array(places, PLACES)]
+            else:
+                columns = [batch.column("n_words"), batch.column("phrases")]
+                blocks = [a + b for a, b in zip(batch.column("blocks").to_pylist(), blocks)]
+                windows = [a + b for a, b in zip(batch.column("windows").to_pylist(), windows)]
+            columns = [batch.column("id"), *columns, pa.array(blocks, BLOCKS), pa.array(windows, WINDOWS)]
+            names = ["id", "n_words", "phrases", "blocks", "windows"]
+            yield pa.RecordBatch.from_arrays([*columns, batch.column("t")] if onward else columns, [*names, "t"] if onward else names)
+
+    return match
+
+
 def op1(docs: DataFrame) -> DataFrame:
     """The digest columns of a scan: places and labels of phrases, and the labels and best score of the join."""
     base = F.array_sort(F.array_distinct(F.col("phrases.label")))
