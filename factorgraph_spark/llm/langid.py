@@ -5,12 +5,16 @@ the words of a bounded sample of labelled documents. A text's likelihood is the
 ways to cut the chunk into pieces, of the product of piece probabilities; the forward recursion computes it for all languages and all new
 chunks of a batch at once. Chunks recur, so each worker keeps a bounded table of their scores. No shuffle: texts are scored where they are.
 
-Chunks of more than ``LONGEST`` characters are scored in stretches of that length, so that sums stay within double precision.
+Sums are scaled by language every few characters, so that chunks of any length stay within double precision; only the last places are held,
+as many as the longest piece has characters. Training, on its bounded sample, cuts chunks of more than ``LONGEST`` characters.
 """
 
 from __future__ import annotations
 
+import functools
 import re
+import sys
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -20,8 +24,9 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import strings, tidy
+from .common import ship, strings, tidy
 
+#: Characters of a chunk in training.
 LONGEST = 32
 #: Labelled documents of the training sample, shared evenly among the languages.
 SAMPLE_DOCS = 800
@@ -31,9 +36,20 @@ UNKNOWN, POOLED = 1e-7, 0.02
 #: Chunks that a worker remembers; the table is emptied when it is full.
 REMEMBERED = 250_000
 TOGETHER = 300_000
+#: Longer chunks are not remembered.
+SHORT = 64
+#: Places whose pieces are looked up at a time, places between scalings, and characters of the words that are scored at once.
+STRETCH, SCALED, AT_ONCE = 2_048, 16, 200_000
 UNDETERMINED = "und"
 
-_WORD = re.compile(r"[^\W\d_]+")
+
+@functools.cache
+def letters() -> re.Pattern:
+    """Runs of letters: of what Python counts as part of a word, number signs such as ½ are none."""
+    odd = [c for c in map(chr, range(sys.maxunicode + 1)) if c.isnumeric() and not c.isalpha() and not c.isdecimal()]
+    return re.compile(f"[^\\W\\d_{''.join(odd)}]+")
+
+
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _STEP = np.uint64(0xD1342543DE82EF95)
 
@@ -45,11 +61,12 @@ def default_vocabulary() -> str:
 
 
 def read_pieces(path: str) -> list[str]:
-    """Ordinary pieces of a sentencepiece model: no control, byte or unknown pieces."""
+    """Ordinary pieces of a sentencepiece model, of letters and the sign of a chunk's start: no control, byte or unknown pieces."""
     import sentencepiece
 
     m = sentencepiece.SentencePieceProcessor(model_file=path)
-    return [m.id_to_piece(k) for k in range(m.get_piece_size()) if not (m.is_control(k) or m.is_byte(k) or m.is_unknown(k))]
+    pieces = [m.id_to_piece(k) for k in range(m.get_piece_size()) if not (m.is_control(k) or m.is_byte(k) or m.is_unknown(k))]
+    return [p for p in pieces if p == "▁" or letters().fullmatch(p.removeprefix("▁"))]  # chunks hold no others
 
 
 class PieceIndex:
@@ -58,8 +75,7 @@ class PieceIndex:
     BITS = 20
 
     def __init__(self, pieces: list[str]):
-        pieces = [p for p in pieces if 0 < len(p) <= LONGEST]
-        self.size, self.longest = len(pieces), max(map(len, pieces))
+        self.size, self.longest = len(pieces), max(map(len, pieces), default=1)
         keys = np.array([self._hash(p) for p in pieces], dtype=np.uint64)
         self.keys = np.append(keys, np.uint64(0))
         self.tables, rest, bits = [], np.arange(self.size, dtype=np.int32), self.BITS
@@ -128,6 +144,41 @@ def forward(index: PieceIndex, probs: np.ndarray, words: list[str]) -> tuple[np.
     return alpha, found, lengths
 
 
+def log_likelihoods(index: PieceIndex, probs: np.ndarray, words: list[str]) -> np.ndarray:
+    """Word by language: log of the sum over all segmentations. words: of any length, the shortest first."""
+    lengths = np.fromiter(map(len, words), dtype=np.int64, count=len(words))
+    n, width, slots = len(words), int(lengths[-1]), index.longest + 1
+    ring = np.zeros((slots, n, probs.shape[1]))  # sums up to the places from the current one on
+    ring[0] = 1
+    scale, out = np.zeros(ring.shape[1:]), np.zeros(ring.shape[1:])
+    ended = 0
+    for begin in range(0, width, STRETCH):
+        codes, _ = _codes([w[begin : begin + STRETCH + index.longest] for w in words])
+        found = list(index.find(codes))
+        single = found[0] == index.size
+        for at in range(begin, min(width, begin + STRETCH)):
+            here, place = ring[at % slots], at - begin
+            live = int(np.searchsorted(lengths, at, side="right"))
+            out[ended:live] = np.log(np.maximum(here[ended:live], 1e-300)) + scale[ended:live]
+            ended = live
+            if at and at % SCALED == 0:
+                by = np.maximum(here[live:], 1e-300).copy()
+                ring[:, live:] /= by
+                scale[live:] += np.log(by)
+            for length, ids in enumerate(found, 1):
+                if place >= ids.shape[1]:
+                    break
+                ids = ids[live:, place]
+                rows = np.flatnonzero(ids < index.size)
+                if len(rows):
+                    ring[(at + length) % slots, live + rows] += here[live + rows] * probs[ids[rows]]
+            rows = live + np.flatnonzero(single[live:, place])
+            ring[(at + 1) % slots, rows] += here[rows] * UNKNOWN
+            here[:] = 0
+    out[ended:] = np.log(np.maximum(ring[width % slots, ended:], 1e-300)) + scale[ended:]
+    return out
+
+
 def expected_counts(index: PieceIndex, probs: np.ndarray, words: list[str], counts: np.ndarray) -> np.ndarray:
     """Expected uses of each piece in the words' segmentations, for one language (probs has one column)."""
     alpha, found, lengths = forward(index, probs, words)
@@ -153,6 +204,7 @@ def expected_counts(index: PieceIndex, probs: np.ndarray, words: list[str], coun
 
 
 def stretches(chunk: str) -> list[str]:
+    """A chunk as training takes it."""
     marked = "▁" + chunk
     return [marked[k : k + LONGEST] for k in range(0, len(marked), LONGEST)]
 
@@ -200,33 +252,31 @@ class Scorer:
         self.known: dict[str, int] = {"": 0}
         self.rows = np.zeros((1024, len(self.model.languages)))
 
-    def _learn(self, chunks: list[str]) -> None:
-        short = sorted((c for c in chunks if len(c) < LONGEST), key=len)
-        parts, owner = [], []
-        for k, c in enumerate(chunks):
-            if len(c) >= LONGEST:
-                more = stretches(c)
-                parts += more
-                owner += [k] * len(more)
-        logs = np.zeros((len(chunks), len(self.model.languages)))
-        where = {c: k for k, c in enumerate(chunks)}
-        words = ["▁" + c for c in short] + parts
-        owners = np.array([where[c] for c in short] + owner, dtype=np.int64)
-        for k in range(0, len(words), 4_000):
-            alpha, _, lengths = forward(self.index, self.model.probs, words[k : k + 4_000])
-            last = alpha[lengths, np.arange(len(lengths))]
-            np.add.at(logs, owners[k : k + 4_000], np.log(np.maximum(last, 1e-300)))
-        first = len(self.known)
-        while first + len(chunks) > len(self.rows):
-            self.rows = np.vstack([self.rows, np.zeros_like(self.rows)])
-        self.rows[first : first + len(chunks)] = logs
-        self.known.update(zip(chunks, range(first, first + len(chunks))))
+    def _scored(self, chunks: list[str]) -> Iterator[tuple[list[str], np.ndarray]]:
+        """chunks in parts, the shortest first, with their scores."""
+        held, size = [], 0
+        for c in sorted(chunks, key=lambda c: (len(c), c)):
+            if held and (size + len(c) > AT_ONCE or len(held) == 4_000):
+                yield held, log_likelihoods(self.index, self.model.probs, ["▁" + x for x in held])
+                held, size = [], 0
+            held.append(c)
+            size += len(c)
+        if held:
+            yield held, log_likelihoods(self.index, self.model.probs, ["▁" + x for x in held])
+
+    def _learn(self, chunks: set[str]) -> None:
+        for part, logs in self._scored([c for c in chunks if len(c) <= SHORT]):
+            first = len(self.known)
+            while first + len(part) > len(self.rows):
+                self.rows = np.vstack([self.rows, np.zeros_like(self.rows)])
+            self.rows[first : first + len(part)] = logs
+            self.known.update(zip(part, range(first, first + len(part))))
 
     def texts(self, texts) -> Iterator[tuple[bool, np.ndarray]]:
         """Whether the text has a word, and its log-likelihood by language."""
-        held, size = [], 0
+        held, size, find = [], 0, letters().findall
         for t in texts:
-            held.append(_WORD.findall(t.lower()))
+            held.append(find(t.lower()))
             size += len(t)
             if size > TOGETHER:
                 yield from self._held(held)
@@ -236,10 +286,19 @@ class Scorer:
     def _held(self, held: list[list[str]]) -> Iterator[tuple[bool, np.ndarray]]:
         if len(self.known) > REMEMBERED:
             self._forget()
-        if new := set().union(*held).difference(self.known):
-            self._learn(sorted(new))
+        new = set().union(*held).difference(self.known)
+        if new and self.model.languages:
+            self._learn(new)
+            long = {c: row for part, logs in self._scored([c for c in new if len(c) > SHORT]) for c, row in zip(part, logs)}
         for chunks in held:
-            yield bool(chunks), self.rows[np.fromiter(map(self.known.__getitem__, chunks), dtype=np.int64, count=len(chunks))].sum(axis=0)
+            if not chunks or not self.model.languages:
+                yield bool(chunks), self.rows[0]
+                continue
+            known = [self.known[c] for c in chunks if len(c) <= SHORT]
+            total = self.rows[np.array(known, dtype=np.int64)].sum(axis=0)
+            if len(known) < len(chunks):
+                total = total + sum(long[c] for c in chunks if len(c) > SHORT)
+            yield True, total
 
 
 def held_out(doc_id: Column) -> Column:
@@ -248,19 +307,32 @@ def held_out(doc_id: Column) -> Column:
 
 def train(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", vocabulary: str | None = None, sample_docs: int = SAMPLE_DOCS) -> Model:
     """A model from at most ``sample_docs`` labelled documents that are not held out; the sample is the one of lowest hashes of the id."""
+    ship(docs.sparkSession)
     labelled = docs.select(F.col(doc_id).alias("id"), F.col(text).alias("t"), F.col(lang).alias("l")).where(F.col("l").isNotNull() & F.col("t").isNotNull() & ~held_out(F.col("id")))
     languages = max(1, labelled.select(F.count_distinct("l")).first()[0])
     order = Window.partitionBy("l").orderBy(F.xxhash64("id"), "id")
     chosen = labelled.select("id", "l").withColumn("k", F.row_number().over(order)).where(F.col("k") <= max(1, sample_docs // languages)).select("id").distinct()
-    words = labelled.join(F.broadcast(chosen), "id").select("l", F.explode(F.expr(r"regexp_extract_all(lower(t), '\\p{L}+', 0)")).alias("w"))
+
+    @tidy
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = Counter((label, w) for label, t in zip(batch.column("l").to_pylist(), strings(batch.column("t"))) for w in letters().findall(t.lower()))
+            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in found], pa.string()), pa.array([w for _, w in found], pa.string()), pa.array(list(found.values()), pa.int64())], ["l", "w", "n"])
+
+    words = labelled.join(F.broadcast(chosen), "id").select("l", "t").mapInArrow(count, "l string, w string, n long")
     counts: dict[str, dict[str, int]] = {}
-    for r in words.groupBy("l", "w").count().toLocalIterator():
-        counts.setdefault(r["l"], {})[r["w"]] = r["count"]
+    for r in words.groupBy("l", "w").agg(F.sum("n").alias("n")).toLocalIterator():  # the words of the sample
+        counts.setdefault(r["l"], {})[r["w"]] = r["n"]
     return fit(counts, read_pieces(vocabulary or default_vocabulary()))
 
 
 def predict(docs: DataFrame, model: Model, *, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, lang_pred and score (posterior under equal priors) of every row. Texts that are null or hold no letter are undetermined, score 0."""
+    """doc_id, lang_pred and score (posterior under equal priors) of every row.
+
+    Texts that are null or hold no letter are undetermined, score 0, and so are all if the model has no language. Ties go to the first
+    language by name. Columns other than the two named are not read, whatever their names; an empty table gives an empty result.
+    """
+    ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)  # as large as vocabulary times languages
 
     @tidy
@@ -289,6 +361,7 @@ def accept(docs: DataFrame, model: Model, *, text: str = "text", least: float =
 
     A model without a language (no labelled document to learn from) can't tell, so only texts without a letter are rejected.
     """
+    ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     @tidy
