@@ -1,10 +1,10 @@
 r"""Secret scan: Boolean trigram queries, derived from each rule's regular expression, over segment-wise trigram postings.
 
 ``trigram_query`` walks Python's parse tree of a pattern and returns what a matching text must hold: an AND/OR tree of trigrams, or
-``ANY`` where nothing is certain. Every SEGMENT documents of a task are one index segment. For the trigrams that the rules ask for, the
+``ANY`` where nothing is certain. Documents of a task up to SEGMENT, or SEGMENT_CHARS characters, are one index segment. For the trigrams that the rules ask for, the
 segment keeps a posting list (the sorted numbers of the rows that hold it); queries are evaluated by intersecting and uniting
 postings, and only the rows that remain are run through the regular expression. A rule without a mandatory trigram scans every row.
-The index folds A-Z to a-z, so that it serves rules of either kind. Nothing is shuffled and a lost task rebuilds its own segments.
+The index folds A-Z to a-z, so that it serves rules of either kind; what else a rule that is not ASCII may fold counts as uncertain. Nothing is shuffled and a lost task rebuilds its own segments.
 """
 
 from __future__ import annotations
@@ -17,8 +17,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import strings, tidy
+from .common import ship, strings, tidy
 
 try:
     from re import _constants as C
@@ -56,8 +57,8 @@ MORE = (
 )
 
 SPANS = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())]))
-#: Documents of an index segment.
-SEGMENT = 2_000
+#: Documents, and characters, of an index segment; a longer document is a segment of its own.
+SEGMENT, SEGMENT_CHARS = 2_000, 1_000_000
 ANY = ("any",)
 #: Alternatives that a pattern's exact strings may have before only their trigrams are kept.
 MOST_STRINGS = 64
@@ -87,7 +88,11 @@ def _grams(strings: set[str]) -> tuple:
     return _all("or", one) if one else ANY
 
 
-def _walk(items) -> tuple[set[str] | None, tuple]:
+#: Letters with a case variant beyond A-Z.
+_FOLDED = frozenset("iksIKS")
+
+
+def _walk(items, ascii_only: bool = True) -> tuple[set[str] | None, tuple]:
     """The exact strings that a sequence can match, if they are few; and its query."""
     exact: set[str] | None = {""}
     run: set[str] = {""}  # strings that end at the current place without a gap
@@ -97,7 +102,7 @@ def _walk(items) -> tuple[set[str] | None, tuple]:
         need.append(_grams(run))
 
     for op, arg in items:
-        strings, query = _node(op, arg)
+        strings, query = _node(op, arg, ascii_only)
         if strings is not None and len(run) * len(strings) <= MOST_STRINGS:
             run = {a + b for a in run for b in strings}
             exact = exact if exact is None else {a + b for a in exact for b in strings}
@@ -109,24 +114,26 @@ def _walk(items) -> tuple[set[str] | None, tuple]:
     return exact, _all("and", need)
 
 
-def _node(op, arg) -> tuple[set[str] | None, tuple]:
+def _node(op, arg, ascii_only: bool) -> tuple[set[str] | None, tuple]:
     if op is C.LITERAL:
+        if not ascii_only and (arg >= 128 or chr(arg) in _FOLDED):
+            return None, ANY
         return {chr(arg).lower() if arg < 128 else chr(arg)}, ANY
     if op is C.AT:
         return {""}, ANY
     if op is C.SUBPATTERN:
-        return _walk(arg[-1])
+        return _walk(arg[-1], ascii_only)
     if op is C.BRANCH:
-        parts = [_walk(p) for p in arg[1]]
+        parts = [_walk(p, ascii_only) for p in arg[1]]
         strings = set().union(*(p[0] for p in parts)) if all(p[0] is not None for p in parts) else None
         return (strings if strings and len(strings) <= MOST_STRINGS else None), _all("or", [_all("and", [p[1], _grams(p[0]) if p[0] else ANY]) for p in parts])
     if op is C.IN:
-        if all(o is C.LITERAL for o, _ in arg) and len(arg) <= 8:
+        if all(o is C.LITERAL and (ascii_only or (a < 128 and chr(a) not in _FOLDED)) for o, a in arg) and len(arg) <= 8:
             return {chr(a).lower() if a < 128 else chr(a) for _, a in arg}, ANY
         return None, ANY
     if op in (C.MAX_REPEAT, C.MIN_REPEAT):
         low, high, inner = arg
-        strings, query = _walk(inner)
+        strings, query = _walk(inner, ascii_only)
         if strings is not None and (low, high) == (0, 1):
             return strings | {""}, ANY
         if strings is not None and low == high and len(strings) ** low <= MOST_STRINGS:
@@ -140,7 +147,7 @@ def _node(op, arg) -> tuple[set[str] | None, tuple]:
 
 def trigram_query(pattern: str, flags: int = 0) -> tuple:
     """("has", trigram), ("and", parts), ("or", parts) or ANY: what every text with a match holds, after A-Z to a-z."""
-    exact, query = _walk(parser.parse(pattern, flags))
+    exact, query = _walk(parser.parse(pattern, flags), bool(flags & re.ASCII))
     return _all("and", [query, _grams(exact) if exact else ANY])
 
 
@@ -172,65 +179,104 @@ def index_segment(texts: list[str], grams: list[str]) -> dict[str, np.ndarray]:
     return {g: np.fromiter((k for k, t in enumerate(folded) if g in t), dtype=np.int64) for g in grams}
 
 
+class Finder:
+    """The rules, compiled once for a task."""
+
+    def __init__(self, rules):
+        self.kinds = [r.kind for r in rules]
+        self.queries = [trigram_query(r.pattern, r.flags) for r in rules]
+        self.grams = sorted(set().union(*map(grams_in, self.queries)))
+        self.rules = [(r, re.compile(self._long(r), r.flags)) for r in rules]
+
+    @staticmethod
+    def _long(rule: Rule) -> str:
+        """Of a run of one class that must be long enough, shorter runs need not be reported to Python one by one."""
+        if rule.group == 0 and rule.least > 1 and re.fullmatch(r"\[[^\]\\^]+\]\+", rule.pattern):
+            return f"{rule.pattern[:-1]}{{{rule.least},}}"
+        return rule.pattern
+
+    def __call__(self, texts: list[str]) -> list[list[tuple[str, int, int]]]:
+        """kind, start and end of every match, for each text of a segment in order of start and then of the rules."""
+        postings = index_segment(texts, self.grams)
+        out: list[list] = [[] for _ in texts]
+        every = np.arange(len(texts))
+        for k, ((rule, search), query) in enumerate(zip(self.rules, self.queries)):
+            for row in candidates(query, postings, every).tolist():
+                for m in search.finditer(texts[row]):
+                    if m.end(rule.group) - m.start(rule.group) >= rule.least:
+                        out[row].append((m.start(), k, m.end()))
+        return [[(self.kinds[k], s, e) for s, k, e in sorted(found)] for found in out]
+
+
 def find_all(texts: list[str], rules) -> list[list[tuple[str, int, int]]]:
     """kind, start and end of every match, for each text in order of start and then of the rules."""
-    queries = [trigram_query(r.pattern, r.flags) for r in rules]
-    postings = index_segment(texts, sorted(set().union(*map(grams_in, queries)))) if rules else {}
-    out: list[list] = [[] for _ in texts]
-    every = np.arange(len(texts))
-    for k, (rule, query) in enumerate(zip(rules, queries)):
-        search = re.compile(rule.pattern, rule.flags)
-        # A run of one class that must be long enough: shorter runs need not be reported to Python one by one.
-        if rule.group == 0 and rule.least > 1 and re.fullmatch(r"\[[^\]\\^]+\]\+", rule.pattern):
-            search = re.compile(f"{rule.pattern[:-1]}{{{rule.least},}}", rule.flags)
-        for row in candidates(query, postings, every).tolist():
-            for m in search.finditer(texts[row]):
-                if m.end(rule.group) - m.start(rule.group) >= rule.least:
-                    out[row].append((m.start(), k, m.end()))
-    return [[(rules[k].kind, s, e) for s, k, e in sorted(found)] for found in out]
+    return Finder(rules)(texts)
+
+
+def segments(column: pa.Array) -> Iterator[list[str]]:
+    """The texts of an Arrow column, null as empty, in index segments."""
+    held, size = [], 0
+    for t in strings(column):
+        if held and (len(held) == SEGMENT or size + len(t) > SEGMENT_CHARS):
+            yield held
+            held, size = [], 0
+        held.append(t)
+        size += len(t)
+    if held:
+        yield held
 
 
 def scan(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", rules=BASE + MORE) -> DataFrame:
     """One row per input row: its id and ``spans`` (array of kind, start, end; code points, end exclusive).
 
-    Null and empty texts have no spans, repeated rows are scanned each, and an empty table gives an empty result.
+    Null and empty texts have no spans, repeated rows are scanned each, and an empty table gives an empty result. Columns other than the two
+    named are not read, whatever their names.
     """
+    ship(docs.sparkSession)
 
     @tidy
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        find = Finder(rules)
         for batch in batches:
-            for k in range(0, batch.num_rows, SEGMENT):
-                part = batch.slice(k, SEGMENT)
-                found = find_all(list(strings(part.column("t"))), rules)
-                spans = pa.array([[{"kind": k, "start": s, "end": e} for k, s, e in x] for x in found], SPANS)
-                yield pa.RecordBatch.from_arrays([part.column("id"), spans], ["id", "spans"])
+            at = 0
+            for texts in segments(batch.column("t")):
+                spans = pa.array([[{"kind": k, "start": s, "end": e} for k, s, e in x] for x in find(texts)], SPANS)
+                yield pa.RecordBatch.from_arrays([batch.column("id").slice(at, len(texts)), spans], ["id", "spans"])
+                at += len(texts)
 
     kind = dict(docs.select(doc_id).dtypes)[doc_id]
     rows = docs.select(F.col(doc_id).alias("id"), F.col(text).alias("t"))
     return rows.mapInArrow(search, f"id {kind}, spans array<struct<kind: string, start: long, end: long>>").withColumnRenamed("id", doc_id)
 
 
+def _marked(text: str, spans, mark: str) -> str:
+    parts, at = [], 0
+    for _, s, e in spans:
+        if s > at or not parts:
+            parts += [text[at:s], mark]
+        at = max(at, e)
+    return "".join([*parts, text[at:]])
+
+
 def redact(docs: DataFrame, *, text: str = "text", rules=BASE + MORE, mark: str = "<secret>") -> DataFrame:
     """docs with every span replaced by ``mark`` (spans that touch or overlap become one mark); null stays null, other columns stay."""
+    ship(docs.sparkSession)
 
-    @F.arrow_udf("string")
-    def clean(column: pa.Array) -> pa.Array:
-        done = []
-        for k in range(0, len(column), SEGMENT):
-            texts, out = column.slice(k, SEGMENT).to_pylist(), []
-            for t, spans in zip(texts, find_all([t or "" for t in texts], rules)):
-                if spans:
-                    parts, at = [], 0
-                    for _, s, e in spans:
-                        if s > at or not parts:
-                            parts += [t[at:s], mark]
-                        at = max(at, e)
-                    t = "".join([*parts, t[at:]])
-                out.append(t)
-            done.append(pa.array(out, pa.string()))
-        return pa.concat_arrays(done) if done else pa.array([], pa.string())
-
-    return docs.withColumn(text, clean(F.col(text)))
+    @tidy
+    def clean(columns: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        find = Finder(rules)
+        for column in columns:
+            done, at = [], 0
+            for texts in segments(column):
+                same = column.slice(at, len(texts))
+                at += len(texts)
+                found = find(texts)
+                if any(found):
+                    same = pa.array([_marked(t, spans, mark) if spans else t for t, spans in zip(texts, found)], pa.string(), mask=same.is_null().to_numpy(zero_copy_only=False))
+                done.append(same.cast(pa.string()))
+            yield pa.concat_arrays(done) if done else pa.array([], pa.string())
+
+    return docs.withColumn(text, F.arrow_udf(clean, T.StringType())(F.col(text)))
 
 
 def op6(docs: DataFrame) -> DataFrame:

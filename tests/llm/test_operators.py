@@ -7,6 +7,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -97,6 +98,15 @@ def test_licence_windows_against_brute_force(spark):
     assert got == want and want
 
 
+def test_licence_groups_change_nothing(spark, docs, real, monkeypatch):
+    table = docs.select("doc_id", "text").unionByName(real.select("doc_id", "text"))
+    one = rows(license_scan.scan(table, threshold=0.5))
+    monkeypatch.setattr(license_scan, "MAX_TEMPLATE_WORDS", 20)
+    several = rows(license_scan.scan(table, threshold=0.5))
+    sets = lambda out: collections.Counter((r["doc_id"], r["n_words"], *(str(sorted(map(tuple, r[c]))) for c in ("phrases", "blocks", "windows"))) for r in out)
+    assert len(several) == table.count() and sets(several) == sets(one)
+
+
 def secrets_of(text):
     out = []
     for k, (pattern, least, group, flags) in enumerate(((secret_scan.BASE[0].pattern, 6, 2, re.A | re.I), (r"AKIA[A-Z0-9]+", 20, 0, re.A), (r"[0-9a-f]+", 24, 0, re.A))):
@@ -126,6 +136,39 @@ def test_trigram_queries_never_miss():
     assert secret_scan.trigram_query(r"[0-9a-f]+") == secret_scan.ANY
 
 
+def test_folded_letters_and_segments(monkeypatch):
+    rule = secret_scan.Rule("x", "(?i)task=[0-9]{3}", flags=0)
+    query = secret_scan.trigram_query(rule.pattern, rule.flags)
+    texts = ["ta\u017f\u212a=123", "TASK=123", "no", "x" * 50 + "task=999"]
+    postings = secret_scan.index_segment(texts, sorted(secret_scan.grams_in(query)))
+    assert set(secret_scan.candidates(query, postings, np.arange(4)).tolist()) >= {0, 1, 3}
+    monkeypatch.setattr(secret_scan, "SEGMENT_CHARS", 20)
+    column = pa.array([None, "a" * 15, "b" * 15, "c" * 99, "", "d"])
+    assert list(secret_scan.segments(column)) == [["", "a" * 15], ["b" * 15], ["c" * 99], ["", "d"]]
+
+
+def test_likelihoods_of_long_chunks():
+    rng = np.random.default_rng(3)
+    pieces = ["a", "b", "ab", "ba", "aab", "▁a"]
+    index = langid.PieceIndex(pieces)
+    probs = np.vstack([rng.random((len(pieces), 2)) * [1e-2, 1e-6], np.zeros((1, 2))])
+    words = ["▁" + "".join(rng.choice(list("abc"), n)) for n in (1, 2, 2, 30, 400, 5000)]
+    got = langid.log_likelihoods(index, probs, words)
+    for word, logs in zip(words, got):
+        for lang in range(2):
+            sums = [0.0] + [-np.inf] * len(word)
+            for end in range(1, len(word) + 1):
+                ways = [sums[end - len(p)] + np.log(probs[k, lang]) for k, p in enumerate(pieces) if word[:end].endswith(p)]
+                ways += [sums[end - 1] + np.log(langid.UNKNOWN)] if word[end - 1] not in pieces else []
+                sums[end] = np.logaddexp.reduce(ways) if ways else -np.inf
+            assert logs[lang] == pytest.approx(sums[-1], rel=1e-9)
+
+
+def test_number_signs_are_no_letters(spark, real):
+    out = {r["doc_id"]: r["lang_pred"] for r in langid.predict(spark.createDataFrame([(1, "\u00bd \u00b2 \u2460 12"), (2, "the house"), (3, "\u4e00" * 9000)], "doc_id long, text string"), langid.train(real, sample_docs=50)).collect()}
+    assert out[1] == "und" and out[2] != "und" and out[3] != "und"
+
+
 def test_language(spark, real, docs):
     model = langid.train(real, sample_docs=200)
     out = {r["doc_id"]: r for r in langid.predict(real, model).collect()}
@@ -234,7 +277,7 @@ def test_near_duplicates(docs, real, spark):
     assert len(rows(neardup.op9(docs))) == docs.count() and not rows(neardup.op9(empty(docs)))
 
 
-def test_star_contraction(spark):
+def test_star_contraction(spark, monkeypatch):
     rng = np.random.default_rng(2)
     pairs = [tuple(map(int, rng.integers(0, 400, 2))) for _ in range(330)] + [(k, k + 1) for k in range(1000, 1100)]
     joined = neardup._Joined()
@@ -242,6 +285,9 @@ def test_star_contraction(spark):
         joined.join(a, b)
     want = {(x, joined.root(x)) for a, b in pairs if a != b for x in (a, b)}
     assert set(map(tuple, neardup.components(spark.createDataFrame(pairs, "a long, b long").repartition(9)).collect())) == want
+    monkeypatch.setattr(neardup, "BROADCAST_IDS", 0)
+    monkeypatch.setattr(neardup, "TASK_EDGES", 50)
+    assert set(map(tuple, neardup.components(spark.createDataFrame(pairs, "a long, b long").repartition(9)).collect())) == want
     assert not neardup.components(spark.createDataFrame([(1, 1)], "a long, b long")).collect()
 
 
@@ -333,6 +379,10 @@ def test_neighbours(spark):
     assert hit / total >= 0.9
     assert [v for v, _ in found[50]] == [10_000, 10_001, 10_002, 10_003, 10_004]
     assert not rows(ann.op4(table.where("1 = 0")))
+    rank = lambda t: [tuple(r) for r in ann.op4(t).orderBy("query_id", "rank").collect()]
+    assert rank(table.unionByName(table.where("vec_id in (50, 100, 10000)")).withColumn("id", F.lit(1)).withColumn("ids", F.lit("x"))) == rank(table)
+    short = spark.createDataFrame([(100, [1.0, 0.0]), (1, [1.0, 1.0]), (2, [2.0, 0.0]), (150, [0.0, 1.0, 0.0]), (50, [1.0]), (50, [-1.0])], "vec_id long, embedding array<double>")
+    assert [(q, v, round(s, 9)) for q, _, v, s in rank(short)] == [(100, 2, 1.0), (100, 1, round(0.5**0.5, 9))]
 
 
 def test_urls(spark):
