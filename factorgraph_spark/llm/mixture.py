@@ -1,10 +1,14 @@
 """Mixing sources to target weights by entropy balancing.
 
-Every source has a token target. Among all non-negative document rates that meet the targets, entropy balancing takes those closest to the
-given prior rates in Kullback-Leibler divergence, every document counted by its tokens. The minimiser is an exponential tilt,
-``rate = prior * exp(multiplier[source] * tilt)``; the multipliers maximise a concave dual that splits by source and are found by Newton
-iterations. Documents enter the dual only by their (source, prior, tilt) cell and its tokens, so one aggregation with partial sums serves all
-iterations, which then run for all sources in parallel as a fold over each source's few cells.
+Every source has a token target, and a mean that its tokens' tilts are to come near: tilts are the logarithms of document lengths unless
+given, and the mean lies ``PULL`` of the way from the source's own to the corpus's, so that the mix evens out lengths between sources.
+Among all document rates of 0 to a cap below ``most`` that meet the token targets, entropy balancing takes those closest to the given prior rates in
+Kullback-Leibler divergence, every document counted by its tokens, plus a quadratic penalty (``RIDGE``) on missing the mean. The minimiser
+is an exponential tilt, ``rate = min(cap, prior * exp(level[source] + slope[source] * tilt))``, where the cap is ``most`` less a
+quarter of what the source's mean rate leaves to it, so that rounding can move every document either way; level and slope minimise a convex dual that
+splits by source. Documents enter it only by their (source, prior, tilt) cell and its tokens. Each Newton iteration is one aggregation of
+the cells, with partial sums: it evaluates the dual, its gradient and its Hessian at several lengths of the last step, and every source goes on
+from the best. Iterations end when all sources meet their conditions to within ``EXACT``.
 
 Rates become whole copies: the integer part, and one more for documents whose hash, divided by the rest of the rate, lies below a cut. The
 cut of a source (near 1) is the one at which its tokens come nearest to the target. It is found by narrowing: each level sums tokens per source and one of ``FAN`` hash intervals and keeps
@@ -24,7 +28,11 @@ from .common import SPACE, cut
 WEIGHTS = (3, 1, 2)
 #: Tokens of the mix over tokens of the corpus; and the most that a source's target, or a document's copies, can be of what it has.
 SHARE, MOST = 1.5, 2.0
-NEWTON_ROUNDS = 60
+#: How far a source's mean tilt is to go to the corpus's, and the penalty on missing that.
+PULL, RIDGE = 0.25, 0.05
+#: Newton iterations at most, the error (by the target) at which they end, and the lengths tried of each step.
+NEWTON_ROUNDS, EXACT = 60, 1e-9
+STEPS = (1.0, 0.5, 0.125, 1 / 64)
 #: Hash intervals per level of the narrowing, and levels.
 FAN_BITS, LEVELS = 10, 4
 #: Sources up to which a table of them is broadcast.
@@ -61,20 +69,61 @@ def water_fill(sizes: DataFrame, *, weights=WEIGHTS, share: float = SHARE, most:
     return rows.withColumn("target", F.least("bound", F.coalesce(level * F.col("weight"), F.col("bound")))).select("source", "source_size", "target")
 
 
-def multipliers(cells: DataFrame, targets: DataFrame) -> DataFrame:
-    """The dual's solution: multiplier by source. cells: source, prior, tilt, tokens; targets: source, target."""
-    packed = cells.groupBy("source").agg(F.collect_list(F.struct("prior", "tilt", "tokens")).alias("cells"))
-    rows = packed.join(targets.select(F.col("source").alias("s"), "target"), F.col("s").eqNullSafe(F.col("source")))
+def _sums(step: float) -> list[Column]:
+    """Dual, gradient and Hessian sums of a source's cells at this length of its step."""
+    level, slope = F.col("level") + step * F.col("d_level"), F.col("slope") + step * F.col("d_slope")
+    eta, top = F.ln("prior") + level + slope * F.col("z"), F.ln("cap")
+    rate = F.exp(F.least(eta, top))
+    free = F.when(eta < top, F.col("tokens") * rate).otherwise(F.lit(0.0))
+    met = F.col("tokens") * rate
+    potential = F.col("tokens") * (rate + F.greatest(eta - top, F.lit(0.0)) * F.col("cap"))
+    z = F.col("z")
+    return [F.sum(c) for c in (potential, met, met * z, free, free * z, free * z * z)]
 
-    def newton(m: Column, _: Column) -> Column:
-        mass = lambda c: c["prior"] * c["tokens"] * F.exp(m * c["tilt"])
-        met = F.aggregate("cells", F.lit(0.0), lambda acc, c: acc + mass(c))
-        slope = F.aggregate("cells", F.lit(0.0), lambda acc, c: acc + mass(c) * c["tilt"])
-        # Steps are bounded: the exponential overshoots when it starts below the target.
-        step = (F.col("target") - met) / F.when(slope != 0, slope)
-        return F.when((F.col("target") <= 0) | step.isNull(), m).otherwise(m + F.greatest(F.lit(-4.0), F.least(F.lit(4.0), step)))
 
-    return rows.select("source", F.aggregate(F.sequence(F.lit(1), F.lit(NEWTON_ROUNDS)), F.lit(0.0), newton).alias("multiplier"))
+def multipliers(cells: DataFrame, targets: DataFrame, *, most: float = MOST, pull: float = PULL, ridge: float = RIDGE) -> DataFrame:
+    """The dual's solution by source: level, slope, cap, center and scale (of tilts) and error (what its conditions are missed by, over the target).
+
+    cells: source, prior, tilt, tokens; targets: source, target. A source whose target is all that it can give has every rate at ``most``.
+    """
+    used = cells.where("tokens > 0 and prior > 0")
+    whole = used.agg(F.sum("tokens").alias("n"), (F.sum(F.col("tokens") * F.col("tilt")) / F.sum("tokens")).alias("m"), F.sqrt(F.sum(F.col("tokens") * F.col("tilt") * F.col("tilt")) / F.sum("tokens") - F.pow(F.sum(F.col("tokens") * F.col("tilt")) / F.sum("tokens"), F.lit(2.0))).alias("sd")).first()
+    center, scale = whole["m"] or 0.0, whole["sd"] if whole["sd"] and whole["sd"] > 1e-9 else 1.0
+    used = used.withColumn("z", (F.col("tilt") - center) / scale)
+    own = used.groupBy("source").agg(F.sum(F.col("tokens") * F.col("prior")).alias("mass"), (F.sum(F.col("tokens") * F.col("z")) / F.sum("tokens")).alias("mean"), F.sum("tokens").alias("held"))
+    state = own.join(targets.select(F.col("source").alias("ts"), "target"), F.col("ts").eqNullSafe(F.col("source"))).drop("ts")
+    bound = F.col("target") >= most * F.col("held") * (1 - 1e-12)
+    zero = F.lit(0.0)
+    cap = F.when(bound, F.lit(float(most))).otherwise(most - (most - F.col("target") / F.col("held")) / 4)
+    state = state.withColumn("solved", bound | (F.col("target") <= 0)).withColumn("level", F.when(bound, F.lit(700.0)).when(F.col("target") <= 0, F.lit(-700.0)).otherwise(F.log(F.col("target") / F.col("mass"))))
+    state = cut(state.select("source", "target", cap.alias("cap"), ((1 - pull) * F.col("mean")).alias("goal"), "solved", "level", *[zero.alias(c) for c in ("slope", "d_level", "d_slope")], F.lit(float("inf")).alias("error")))
+    for _ in range(NEWTON_ROUNDS):
+        if not state.where(~F.col("solved") & (F.col("error") > EXACT)).limit(1).count():
+            break
+        open_ = state.where(~F.col("solved")).withColumnRenamed("source", "of")
+        names = ("dual", "met", "moment", "h", "hz", "hzz")
+        sums = [c.alias(f"{n}{k}") for k, step in enumerate(STEPS) for n, c in zip(names, _sums(step))]
+        keys = ("target", "cap", "goal", "level", "slope", "d_level", "d_slope")
+        found = _with_sources(used.withColumnRenamed("source", "cs"), open_.withColumnRenamed("of", "source"), "cs").groupBy("source", *keys).agg(*sums)
+        tried = []
+        for k, step in enumerate(STEPS):
+            level, slope = F.col("level") + step * F.col("d_level"), F.col("slope") + step * F.col("d_slope")
+            value = F.col(f"dual{k}") - F.col("target") * (level + slope * F.col("goal")) + 0.5 * ridge * F.col("target") * slope * slope
+            tried.append(F.struct(value.alias("value"), level.alias("level"), slope.alias("slope"), *[F.col(f"{n}{k}").alias(n) for n in names[1:]]))
+        best = found.select("source", "target", "cap", "goal", F.array_min(F.array(*tried)).alias("b")).select("source", "target", "cap", "goal", "b.*")
+        # The gradient, and a Hessian that stays invertible where nearly all rates are at their bound.
+        t = F.col("target")
+        g1, g2 = F.col("met") - t, F.col("moment") - t * F.col("goal") + ridge * t * F.col("slope")
+        h11, h12, h22 = F.col("h") + 1e-9 * t, F.col("hz"), F.col("hzz") + ridge * t
+        det = h11 * h22 - h12 * h12
+        short = lambda c: F.greatest(F.lit(-2.0), F.least(F.lit(2.0), c))
+        after = best.select(
+            "source", "target", "cap", "goal", F.lit(False).alias("solved"), "level", "slope",
+            short((h12 * g2 - h22 * g1) / det).alias("d_level"), short((h12 * g1 - h11 * g2) / det).alias("d_slope"),
+            (F.greatest(F.abs(g1), F.abs(g2)) / t).alias("error"),
+        )
+        state = cut(state.where("solved").unionByName(after))
+    return state.select("source", "level", "slope", "cap", F.lit(center).alias("center"), F.lit(scale).alias("scale"), F.when(F.col("solved"), zero).otherwise(F.col("error")).alias("error"))
 
 
 def _with_sources(docs: DataFrame, sources: DataFrame, key: str) -> DataFrame:
@@ -162,7 +211,7 @@ def _measured(docs: DataFrame, doc_id: str, text: str, source: str, prior: Colum
             F.col(source).alias("source"),
             token_count(F.col(text)).alias("size"),
             (one if prior is None else prior.cast("double")).alias("prior"),
-            (one if tilt is None else F.round(tilt.cast("double") / TILT_STEP) * TILT_STEP).alias("tilt"),
+            (F.round((F.log2(1.0 + token_count(F.col(text))) if tilt is None else tilt.cast("double")) / TILT_STEP) * TILT_STEP).alias("tilt"),
             (F.shiftrightunsigned(F.xxhash64(F.col(doc_id).cast("string")), 12) / F.lit(2.0**52)).alias("uniform"),
         ),
     )
@@ -172,10 +221,11 @@ def _measured(docs: DataFrame, doc_id: str, text: str, source: str, prior: Colum
 MADE = "_mixture"
 
 
-def _dealt(rows: DataFrame, solved: DataFrame, most: float) -> DataFrame:
-    """rows (source, size, prior, tilt, uniform) with rate, base, part and u. solved: a row per source with its multiplier."""
+def _dealt(rows: DataFrame, solved: DataFrame) -> DataFrame:
+    """rows (source, size, prior, tilt, uniform) with rate, base, part and u. solved: a row per source with its level, slope, cap, center and scale."""
     tilted = _with_sources(rows, solved.withColumnRenamed("source", "of"), "of")
-    rate = F.least(F.col("prior") * F.exp(F.col("multiplier") * F.col("tilt")), F.lit(float(most)))
+    tilt = (F.col("tilt") - F.col("center")) / F.col("scale")
+    rate = F.least(F.when(F.col("prior") > 0, F.exp(F.least(F.ln("prior") + F.col("level") + F.col("slope") * tilt, F.lit(50.0)))).otherwise(F.lit(0.0)), F.col("cap"))
     near = F.round(rate)  # a rate that misses a whole number by rounding error is that number
     rate = F.when(F.abs(rate - near) < 1e-9, near).otherwise(rate)
     dealt = tilted.withColumn("rate", F.when(F.col("size") > 0, rate).otherwise(F.lit(0.0)))
@@ -192,12 +242,13 @@ def _copies(dealt: DataFrame, most: float) -> DataFrame:
 
 
 def solve(rows: DataFrame, *, weights=WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
-    """A row per source: source_size, target, multiplier and the place of its cut. rows: source, size, prior, tilt, uniform."""
+    """A row per source: source_size, target, level, slope, error and the place of its cut. rows: source, size, prior, tilt, uniform."""
     cells = cut(rows.groupBy("source", "prior", "tilt").agg(F.sum("size").alias("tokens")))
     targets = cut(water_fill(cells.groupBy("source").agg(F.sum("tokens").alias("source_size")), weights=weights, share=share, most=most))
-    by_source = multipliers(cells, targets).withColumnRenamed("source", "ms")
-    solved = cut(targets.join(by_source, F.col("ms").eqNullSafe(F.col("source"))).drop("ms"))
-    dealt = _dealt(rows, solved.select("source", "multiplier"), most)
+    by_source = multipliers(cells, targets, most=most).withColumnRenamed("source", "ms")
+    solved = targets.join(by_source, F.col("ms").eqNullSafe(F.col("source")), "left").drop("ms")
+    solved = cut(solved.fillna({"level": -700.0, "slope": 0.0, "cap": float(most), "center": 0.0, "scale": 1.0, "error": 0.0}))
+    dealt = _dealt(rows, solved.select("source", "level", "slope", "cap", "center", "scale"))
     cuts = _nearest_cuts(dealt.select("source", "size", "base", "part", "u"), targets)
     return cut(solved.join(cuts, F.col("cs").eqNullSafe(F.col("source")), "left").drop("cs"))
 
@@ -205,12 +256,12 @@ def solve(rows: DataFrame, *, weights=WEIGHTS, share: float = SHARE, most: float
 def balance(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", source: str = "source", prior: Column | None = None, tilt: Column | None = None, weights=WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
     """One row per input row: doc_id, size, source_size, target, rate, copies (0 to ``most``) and taken (copies times size).
 
-    prior and tilt are columns of docs (default: 1 for every document, which tilts all documents of a source alike). Null text has size 0
-    and is never taken; null is a source of its own; an empty table gives an empty result. Rows with equal ids are one group, so equal rows
-    get equal copies; reruns agree.
+    prior and tilt are columns of docs (default: 1 for every document, and log2 of 1 + size). Null text has size 0 and is never taken; null
+    is a source of its own; an empty table gives an empty result. Rows of equal id and size lie at one place, so equal rows get equal copies;
+    reruns agree. Other columns of docs, whatever their names, are not read.
     """
     rows = cut(_measured(docs, doc_id, text, source, prior, tilt).select(F.col(doc_id).alias("id"), f"{MADE}.*"))
-    rows = _copies(_dealt(rows, solve(rows, weights=weights, share=share, most=most), most), most)
+    rows = _copies(_dealt(rows, solve(rows, weights=weights, share=share, most=most)), most)
     return rows.select(F.col("id").alias(doc_id), "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).cast("long").alias("taken"))
 
 
@@ -220,7 +271,7 @@ def mix(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", source:
     solved = solve(cut(measured.select(f"{MADE}.*")), weights=weights, share=share, most=most)
     packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     rows = _measured(packed, f"row.{doc_id}", f"row.{text}", f"row.{source}", None, None).select("row", f"{MADE}.*")
-    taken = _copies(_dealt(rows, solved, most), most).where("copies > 0")
+    taken = _copies(_dealt(rows, solved), most).where("copies > 0")
     return taken.select("row", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("row.*")
 
 

@@ -252,6 +252,39 @@ def test_mixture(docs, real):
     assert mixture.mix(docs).columns == docs.columns and not rows(mixture.balance(empty(docs)))
 
 
+def test_entropy_balancing_against_brute_force(spark):
+    rng = np.random.default_rng(4)
+    cells = [(s, p, float(t), int(n)) for s in ("a", "b", None) for p in (1.0, 0.5) for t, n in zip(rng.normal(8, 2, 12).round(2), rng.integers(1, 90, 12))]
+    held = {s: sum(c[3] for c in cells if c[0] == s) for s in ("a", "b", None)}
+    want = {"a": 0.7 * held["a"], "b": 1.9 * held["b"], None: 2.0 * held[None]}
+    got = {r["source"]: r for r in mixture.multipliers(spark.createDataFrame(cells, "source string, prior double, tilt double, tokens long"), spark.createDataFrame(list(want.items()), "source string, target double")).collect()}
+    tilt, n = np.array([c[2] for c in cells]), np.array([c[3] for c in cells], dtype=float)
+    center = (tilt * n).sum() / n.sum()
+    scale = np.sqrt((tilt * tilt * n).sum() / n.sum() - center**2)
+    assert got[None]["cap"] == 2.0 and got[None]["error"] == 0
+    for s in ("a", "b"):
+        own = np.array([c[0] == s for c in cells])
+        z, m, prior = (tilt[own] - center) / scale, n[own], np.array([c[1] for c in cells])[own]
+        cap, goal = 2 - (2 - want[s] / held[s]) / 4, (1 - mixture.PULL) * (z * m).sum() / m.sum()
+
+        def level_for(slope):  # by bisection: tokens rise with the level
+            low, high = -60.0, 60.0
+            for _ in range(200):
+                mid = (low + high) / 2
+                low, high = (mid, high) if (m * np.minimum(cap, prior * np.exp(mid + slope * z))).sum() < want[s] else (low, mid)
+            return low
+
+        low, high = -8.0, 8.0
+        for _ in range(100):  # the slope's condition rises with the slope
+            mid = (low + high) / 2
+            rate = np.minimum(cap, prior * np.exp(level_for(mid) + mid * z))
+            low, high = (mid, high) if (m * rate * z).sum() - want[s] * goal + mixture.RIDGE * want[s] * mid < 0 else (low, mid)
+        r = got[s]
+        assert r["error"] <= mixture.EXACT and abs(low) > 1e-3
+        rate = np.minimum(cap, prior * np.exp(level_for(low) + low * z))
+        assert np.allclose(np.minimum(r["cap"], prior * np.exp(r["level"] + r["slope"] * z)), rate, atol=1e-5)
+
+
 def test_near_duplicates(docs, real, spark):
     base = real.select("doc_id", "text").limit(60).collect()
     more = [(1000 + r["doc_id"], r["text"]) for r in base[:20]] + [(2000 + r["doc_id"], (r["text"] + " tail") * 1) for r in base[:20]] + [(3000 + r["doc_id"], r["text"][: int(len(r["text"]) * 0.88)]) for r in base]
