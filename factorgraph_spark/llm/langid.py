@@ -43,11 +43,21 @@ STRETCH, SCALED, AT_ONCE = 2_048, 16, 200_000
 UNDETERMINED = "und"
 
 
+_WORD = re.compile(r"[^\W\d_]+")
+
+
 @functools.cache
-def letters() -> re.Pattern:
-    """Runs of letters: of what Python counts as part of a word, number signs such as ½ are none."""
-    odd = [c for c in map(chr, range(sys.maxunicode + 1)) if c.isnumeric() and not c.isalpha() and not c.isdecimal()]
-    return re.compile(f"[^\\W\\d_{''.join(odd)}]+")
+def _signs() -> re.Pattern:
+    """Number signs such as ½, which Python counts as parts of words."""
+    return re.compile("[" + "".join(c for c in map(chr, range(sys.maxunicode + 1)) if c.isnumeric() and not c.isalpha() and not c.isdecimal()) + "]")
+
+
+def chunks_of(text: str) -> list[str]:
+    """The runs of letters of a text, lower-cased."""
+    found = _WORD.findall(text.lower())
+    if not text.isascii() and found and not "".join(found).isalpha():
+        found = [c for chunk in found for c in _signs().split(chunk) if c]
+    return found
 
 
 _ODD = np.uint64(0x9E3779B97F4A7C15)
@@ -66,7 +76,7 @@ def read_pieces(path: str) -> list[str]:
 
     m = sentencepiece.SentencePieceProcessor(model_file=path)
     pieces = [m.id_to_piece(k) for k in range(m.get_piece_size()) if not (m.is_control(k) or m.is_byte(k) or m.is_unknown(k))]
-    return [p for p in pieces if p == "▁" or letters().fullmatch(p.removeprefix("▁"))]  # chunks hold no others
+    return [p for p in pieces if p == "▁" or p.removeprefix("▁").isalpha()]  # chunks hold no others
 
 
 class PieceIndex:
@@ -249,13 +259,14 @@ class Scorer:
         self._forget()
 
     def _forget(self) -> None:
-        self.known: dict[str, int] = {"": 0}
+        self.known: dict[str, int] = {}
+        self.used = 0
         self.rows = np.zeros((1024, len(self.model.languages)))
 
-    def _scored(self, chunks: list[str]) -> Iterator[tuple[list[str], np.ndarray]]:
+    def _scored(self, chunks: set[str]) -> Iterator[tuple[list[str], np.ndarray]]:
         """chunks in parts, the shortest first, with their scores."""
         held, size = [], 0
-        for c in sorted(chunks, key=lambda c: (len(c), c)):
+        for c in sorted(chunks, key=len):
             if held and (size + len(c) > AT_ONCE or len(held) == 4_000):
                 yield held, log_likelihoods(self.index, self.model.probs, ["▁" + x for x in held])
                 held, size = [], 0
@@ -265,18 +276,18 @@ class Scorer:
             yield held, log_likelihoods(self.index, self.model.probs, ["▁" + x for x in held])
 
     def _learn(self, chunks: set[str]) -> None:
-        for part, logs in self._scored([c for c in chunks if len(c) <= SHORT]):
-            first = len(self.known)
-            while first + len(part) > len(self.rows):
+        for part, logs in self._scored(chunks):
+            first, self.used = self.used, self.used + len(part)
+            while self.used > len(self.rows):
                 self.rows = np.vstack([self.rows, np.zeros_like(self.rows)])
-            self.rows[first : first + len(part)] = logs
-            self.known.update(zip(part, range(first, first + len(part))))
+            self.rows[first : self.used] = logs
+            self.known.update(zip(part, range(first, self.used)))
 
     def texts(self, texts) -> Iterator[tuple[bool, np.ndarray]]:
         """Whether the text has a word, and its log-likelihood by language."""
-        held, size, find = [], 0, letters().findall
+        held, size = [], 0
         for t in texts:
-            held.append(find(t.lower()))
+            held.append(chunks_of(t))
             size += len(t)
             if size > TOGETHER:
                 yield from self._held(held)
@@ -284,21 +295,16 @@ class Scorer:
         yield from self._held(held)
 
     def _held(self, held: list[list[str]]) -> Iterator[tuple[bool, np.ndarray]]:
-        if len(self.known) > REMEMBERED:
+        if self.used > REMEMBERED:
             self._forget()
-        new = set().union(*held).difference(self.known)
-        if new and self.model.languages:
+        new = set().union(*held).difference(self.known) if self.model.languages else set()
+        if new:
             self._learn(new)
-            long = {c: row for part, logs in self._scored([c for c in new if len(c) > SHORT]) for c, row in zip(part, logs)}
         for chunks in held:
-            if not chunks or not self.model.languages:
-                yield bool(chunks), self.rows[0]
-                continue
-            known = [self.known[c] for c in chunks if len(c) <= SHORT]
-            total = self.rows[np.array(known, dtype=np.int64)].sum(axis=0)
-            if len(known) < len(chunks):
-                total = total + sum(long[c] for c in chunks if len(c) > SHORT)
-            yield True, total
+            known = map(self.known.__getitem__, chunks) if self.model.languages else ()
+            yield bool(chunks), self.rows[np.fromiter(known, dtype=np.int64)].sum(axis=0)
+        for c in [c for c in new if len(c) > SHORT]:
+            del self.known[c]
 
 
 def held_out(doc_id: Column) -> Column:
@@ -316,7 +322,7 @@ def train(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", lang:
     @tidy
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = Counter((label, w) for label, t in zip(batch.column("l").to_pylist(), strings(batch.column("t"))) for w in letters().findall(t.lower()))
+            found = Counter((label, w) for label, t in zip(batch.column("l").to_pylist(), strings(batch.column("t"))) for w in chunks_of(t))
             yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in found], pa.string()), pa.array([w for _, w in found], pa.string()), pa.array(list(found.values()), pa.int64())], ["l", "w", "n"])
 
     words = labelled.join(F.broadcast(chosen), "id").select("l", "t").mapInArrow(count, "l string, w string, n long")

@@ -469,3 +469,22 @@ def test_pipeline(spark):
     for r in mixture.balance(base).collect():
         mixed[r["doc_id"]] += r["copies"]
     assert collections.Counter(r["doc_id"] for r in out if r["piece"] == 0) == +mixed
+
+
+def test_pipeline_stages_on_odd_rows(spark, docs):
+    import corpus_pipeline as c
+
+    words = " ".join(f"word{k}" for k in range(60))
+    odd = [(None, words), (7, words), (7, words + " end"), (7, "other " * 3 + " ".join(f"else{k}" for k in range(40))), (1, None), (1, None), (None, ""), (None, "")]
+    extra = spark.createDataFrame([(k, t, "en", None, 1, 9, "x", "y", 1, "q", 0.5, True) for k, t in odd], DOCS)
+    out = rows(c.near_duplicates(spark, extra, SMALL))
+    assert sum((r["text"] or "").startswith("word0") for r in out) == 1
+    assert sum((r["text"] or "").startswith("other") for r in out) == 1
+    assert sum(not r["text"] for r in out) == 4
+    for name, stage in c.STAGES:
+        for table in (docs, extra, empty(docs)):
+            made = stage(spark, table, SMALL)
+            assert name == "packed_sequences" or made.columns == table.columns
+            found = made.collect()
+            assert table is not empty(docs) or not found
+    assert {r["doc_id"]: r["text"] for r in c.secrets(spark, docs, SMALL).collect()}[1] is None
