@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from factorgraph_spark.llm import langid, mixture, neardup, packing, secret_scan
-from factorgraph_spark.llm.common import fresh_path, table
+from factorgraph_spark.llm.common import cut, fresh_path, landed, table
 from factorgraph_spark.shipping import ship
 
 
@@ -16,12 +16,32 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return langid.accept(docs, langid.train(docs))
 
 
+#: Column that numbers rows while near copies are sought.
+KEY = "_near_duplicates_key"
+
+
+def _numbered(docs: DataFrame) -> DataFrame:
+    """docs with KEY: the doc_id where it is a row's own; rows without one or with a repeated one land in the shared folder with numbers beyond."""
+    spark, found = docs.sparkSession, docs.groupBy("doc_id").count().where("doc_id is null or count > 1").select("doc_id")
+    found = cut(found)
+    plain = docs.withColumn(KEY, F.col("doc_id").cast("long"))
+    if not found.limit(1).count():
+        return plain
+    repeated, known = found.where("doc_id is not null"), docs.where("doc_id is not null")
+    low, top = docs.agg(F.min("doc_id"), F.max("doc_id")).first()
+    number = F.lit(low - 1) - F.monotonically_increasing_id() if (top or 0) >= 1 << 62 else F.lit((top or 0) + 1) + F.monotonically_increasing_id()
+    odd = docs.where("doc_id is null").unionByName(neardup.restrict(known, repeated, "left_semi", "doc_id").select(docs.columns))
+    odd, _ = landed(odd.withColumn(KEY, number), "repeated")
+    return neardup.restrict(plain.where("doc_id is not null"), repeated, "left_anti", "doc_id").select(odd.columns).unionByName(odd)
+
+
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each group of near copies (five-word shingles, similarity 0.8)."""
+    """Keeps one row of each group of near copies (five-word shingles, similarity 0.8): of least doc_id, or any of those that have none of their
+    own. Rows without text or words stay."""
     ship(spark)
-    out = neardup.link(docs, width=5, percent=80)
-    removed = out.where("doc_id is not null and not kept").select("doc_id").distinct()
-    return neardup.restrict(docs, removed, "left_anti", "doc_id").select(docs.columns)
+    rows = _numbered(docs)
+    removed = neardup.link(rows, doc_id=KEY, width=5, percent=80).where("not kept").select(KEY)
+    return neardup.restrict(rows, removed, "left_anti", KEY).select(docs.columns)
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
