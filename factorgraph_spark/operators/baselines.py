@@ -24,7 +24,7 @@ def whole_block(fg: FactorGraph, cfg: BPConfig) -> Block:
     return b
 
 
-def shared_queue_sweep(fg: FactorGraph, volume: int = 50, beta: float = 1e-5, damping: float = 0.6, max_updates: int | None = 2_000_000) -> Block:
+def shared_queue_sweep(fg: FactorGraph, volume: int = 50, beta: float = 1e-5, damping: float = 0.6, max_updates: int | None = None) -> Block:
     """The predecessor: one queue over all vertices, message residuals, sweeps of a fixed number of vertices."""
     b = whole_block(fg, BPConfig(beta=beta, damping=damping, residual="message", sweep="volume", volume=volume))
     b.run_sweeps(None, max_updates)

@@ -4,8 +4,9 @@ work, and named so; wall seconds are given beside them."""
 from __future__ import annotations
 
 from dataclasses import replace
+from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators import baselines, block_bp, metrics, partition
@@ -36,26 +37,34 @@ def table1(fg: FactorGraph, parts: int = 120, cfg: BPConfig | None = None, max_u
     }
 
 
+def deal_trials(costs: DataFrame, work: DataFrame, pieces: DataFrame, workers: int, over: int, trials: int) -> DataFrame:
+    """over, trial, balance and cut_cost of random deals of the pieces (vid, piece) to workers; deals are partition.deal's, by trial."""
+    spark = work.sparkSession
+    order = Window.partitionBy("trial").orderBy(F.md5(F.concat_ws("|", F.col("piece").cast("string"), F.col("trial").cast("string")).cast("binary")), "piece")
+    deals = spark.range(workers * over).toDF("piece").withColumn("trial", F.explode(F.sequence(F.lit(0), F.lit(trials - 1))))
+    deals = deals.withColumn("block", (F.row_number().over(order) - 1) % workers)
+    # The deals only need the work of pieces and the cost between them.
+    load = partition.loads(work, pieces, "piece").select(F.col("block").alias("piece"), "load")
+    p = pieces.select("vid", "piece")
+    between = costs.join(p.toDF("fid", "a"), "fid").join(p.toDF("vid", "b"), "vid").where("a != b").groupBy("a", "b").agg(F.sum("cost").alias("c"))
+    held = deals.join(load, "piece").groupBy("trial", "block").agg(F.sum("load").alias("w"))
+    balance = held.groupBy("trial").agg((workers * F.max("w") / F.sum("w")).alias("balance"))
+    x, y = deals.select("trial", F.col("piece").alias("a"), F.col("block").alias("x")), deals.select("trial", F.col("piece").alias("b"), F.col("block").alias("y"))
+    cost = between.join(x, "a").join(y, ["trial", "b"]).groupBy("trial").agg(F.sum(F.when(F.col("x") != F.col("y"), F.col("c")).otherwise(0.0)).alias("cut_cost"))
+    return balance.join(cost, "trial").select(F.lit(over).alias("over"), "trial", "balance", "cut_cost")
+
+
+def intervals(trials: DataFrame) -> DataFrame:
+    """over, and mean and half width of the 95 % interval of balance and cut cost."""
+    wide = lambda c: (1.96 * F.stddev(c) / F.sqrt(F.count(c))).alias(f"{c}_ci")
+    return trials.groupBy("over").agg(F.avg("balance").alias("balance"), wide("balance"), F.avg("cut_cost").alias("cut_cost"), wide("cut_cost"))
+
+
 def overpartition_trials(fg: FactorGraph, workers: int, ks=(1, 2, 5, 10), trials: int = 30, updates: DataFrame | None = None) -> DataFrame:
     """over, mean and half width of the 95 % interval of work balance and cut cost, over random deals of the pieces."""
     costs, work = cut(partition.edge_cost(fg, updates)), cut(partition.vertex_work(fg, updates))
-    out = []
-    for k in ks:
-        pieces = cut(partition.multilevel(fg, workers * k))
-        # The deals only need the work of pieces and the cost between them.
-        load = [(r["block"], r["load"]) for r in partition.loads(work, pieces, "piece").collect()]
-        p = pieces.select("vid", "piece")
-        between = costs.join(p.toDF("fid", "a"), "fid").join(p.toDF("vid", "b"), "vid").where("a != b").groupBy("a", "b").agg(F.sum("cost").alias("c")).collect()
-        total = sum(x for _, x in load)
-        for t in range(trials):
-            to = {r["piece"]: r["block"] for r in partition.deal(fg.spark, workers * k, workers, t).collect()}
-            held = [0.0] * workers
-            for piece, x in load:
-                held[to[piece]] += x
-            out.append((k, t, workers * max(held) / total, sum(r["c"] for r in between if to[r["a"]] != to[r["b"]])))
-    rows = fg.spark.createDataFrame(out, "over int, trial int, balance double, cut_cost double")
-    wide = lambda c: (1.96 * F.stddev(c) / F.sqrt(F.count(c))).alias(f"{c}_ci")
-    return rows.groupBy("over").agg(F.avg("balance").alias("balance"), wide("balance"), F.avg("cut_cost").alias("cut_cost"), wide("cut_cost"))
+    out = [deal_trials(costs, work, cut(partition.multilevel(fg, workers * k)), workers, k, trials) for k in ks]
+    return intervals(reduce(DataFrame.unionByName, out))
 
 
 def scaling(fg: FactorGraph, workers=(1, 2, 4, 8), overs=(1, 5), cfg: BPConfig | None = None, max_rounds: int = 200) -> DataFrame:

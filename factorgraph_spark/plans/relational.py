@@ -68,7 +68,6 @@ SQL: dict[str, str | tuple[str, str]] = {
     "unpivot_states": ("SELECT doc_id, label, value FROM labels UNPIVOT (value FOR label IN (quality, toxic))", "SELECT doc_id, 'quality' AS label, quality AS value FROM labels WHERE quality IS NOT NULL UNION ALL SELECT doc_id, 'toxic', toxic FROM labels WHERE toxic IS NOT NULL"),
     "map_round_metrics": ("SELECT user_id, map_from_entries(collect_list(struct(event_type, n)))['click'] AS clicks FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY user_id, event_type) t GROUP BY user_id", "SELECT user_id, nullif(count(*) FILTER (event_type = 'click'), 0) AS clicks FROM events GROUP BY user_id"),
     "queue_top_per_block": ("SELECT c_nationkey AS block, max_by(c_custkey, struct(c_acctbal, -c_custkey)) AS vid FROM customer GROUP BY c_nationkey", "SELECT block, vid FROM (SELECT c_nationkey AS block, c_custkey AS vid, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey) AS k FROM customer) t WHERE k = 1"),
-    "stream_tumbling_counts": ("SELECT window.start AS start, event_type, count(*) AS n FROM events GROUP BY window(ts, '1 hour'), event_type", "SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"),
 }
 
 

@@ -15,7 +15,7 @@ from ..operators import block_bp
 from ..operators.kernel import BPConfig
 from ..operators.model import FactorGraph, potts
 from ..plans.gallery import EVENT_TYPES, STICKY, emission
-from ..sources.tables import cut
+from ..sources.tables import cut, fresh_path
 
 
 def read_events(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
@@ -41,6 +41,33 @@ def first_seen(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def drained(stream: DataFrame, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
+    """What a streaming query gives once all present input is taken in (trigger "available now").
+
+    mode: "complete" and "update" give the last version of every row that they wrote (by batch: complete writes all rows each time), "append"
+    the rows as they became final. Batches land in the shared folder, so a batch that is run again replaces itself. With ``checkpoint`` the
+    query goes on where an earlier call with that folder stopped.
+    """
+    spark = stream.sparkSession
+    path, last = fresh_path(spark, "stream"), []
+
+    def land(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+        last.append(number)
+
+    q = stream.writeStream.outputMode(mode).foreachBatch(land).option("checkpointLocation", checkpoint or fresh_path(spark, "stream-log")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    found = spark.read.schema(stream.schema)
+    if not last:
+        return spark.createDataFrame([], stream.schema)
+    return found.parquet(f"{path}/batch={max(last)}") if mode == "complete" else found.parquet(*[f"{path}/batch={k}" for k in sorted(set(last))])
+
+
+def late_rows(events: DataFrame, high: str) -> DataFrame:
+    """How many rows of a batch lie before the watermark ``high`` (a timestamp), by event type: what windowed counts would drop."""
+    return events.where(F.col("ts") < F.lit(high).cast("timestamp")).groupBy("event_type").agg(F.count(F.lit(1)).alias("late"))
+
+
 def forward_filter(events: DataFrame) -> DataFrame:
     """event_id, state, belief given the events of the same user so far. The state of a user is one message."""
     like, pair = np.log(np.array(emission())), np.array(potts(3, STICKY)).reshape(3, 3)
