@@ -13,6 +13,7 @@ from dataclasses import dataclass
 from functools import reduce
 from operator import mul
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -62,13 +63,39 @@ class FactorGraph:
         return by[0].unionByName(by[1]).groupBy("kind", "degree").agg(F.count(F.lit(1)).alias("n"))
 
     def with_evidence(self, evidence: DataFrame, mode: str = "clamp", strength: float = -LOG_ZERO) -> FactorGraph:
-        """evidence: vid, state. "clamp" sets the other states' prior to -strength, "reduce" makes the variable constant likewise
-        and detaches it from scheduling by leaving its messages fixed at the clamp."""
+        """evidence: vid, state (null: nothing known). "clamp" sets the other states' prior to -strength. "reduce" takes the known variables out
+        of the graph and their states into the factors: a factor keeps the part of its table that agrees with them, and none of
+        its known slots. The reduced templates, one for each template and combination of known states, are made on the driver."""
+        if mode not in ("clamp", "reduce"):
+            raise ValueError(f"unknown mode {mode!r}")
         known = evidence.where("state is not null").select("vid", F.col("state").alias("s"))
+        if mode == "reduce":
+            return self._reduced(known)
         fixed = F.transform("prior", lambda x, i: F.when(i == F.col("s"), F.lit(0.0)).otherwise(F.lit(-abs(strength))))
         v = self.variables.join(known, "vid", "left").withColumn("prior", F.when(F.col("s").isNull(), F.col("prior")).otherwise(fixed)).drop("s")
         return FactorGraph(v, self.edges, self.potentials)
 
+    def _reduced(self, known: DataFrame) -> FactorGraph:
+        fixed = F.sort_array(F.collect_list(F.when(F.col("s").isNotNull(), F.struct("slot", "s"))))
+        held = self.edges.join(known, "vid", "left")
+        held = held.join(held.groupBy("fid").agg(fixed.alias("fixed")), "fid")
+        kinds = sorted((r["potential_id"], tuple((x["slot"], x["s"]) for x in r["fixed"])) for r in held.select("potential_id", "fixed").distinct().collect())
+        templates, tables, numbers = self.templates(), {}, []
+        for k, (p, fixed_slots) in enumerate(kinds):
+            cards, logpsi = templates[p]
+            at = dict(fixed_slots)
+            index = tuple(at.get(slot, slice(None)) for slot in range(len(cards)))
+            part = np.array(logpsi).reshape(cards)[index]
+            if part.ndim:
+                tables[k] = (list(part.shape), part.ravel().tolist())
+                numbers.append((p, [list(x) for x in fixed_slots], k))
+        numbered = F.broadcast(self.spark.createDataFrame(numbers, "potential_id long, known array<array<int>>, number long"))
+        same = F.transform("fixed", lambda x: F.array(x["slot"].cast("int"), x["s"].cast("int")))
+        edges = held.where("s is null").withColumn("known", same).join(numbered, ["potential_id", "known"])
+        before = F.size(F.filter("fixed", lambda x: x["slot"] < F.col("slot")))
+        edges = edges.select("fid", "vid", (F.col("slot") - before).cast("int").alias("slot"), "card", F.col("number").alias("potential_id"))
+        return FactorGraph(self.variables.join(known, "vid", "left_anti"), edges, potentials_frame(self.spark, tables))
+
 
 def potts(card: int, weight: float) -> list[float]:
     """Log weight on equal states."""

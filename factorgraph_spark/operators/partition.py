@@ -15,6 +15,8 @@ from .model import FactorGraph
 
 #: Vertices that the driver cuts itself; larger graphs are coarsened on the cluster first.
 DRIVER_VERTICES = 50_000
+#: Edges that the driver cuts itself, unless there are hardly more vertices than parts.
+DRIVER_EDGES = 5_000_000
 
 
 def _updates(updates: DataFrame | None, df: DataFrame, key: str, name: str) -> DataFrame:
@@ -114,6 +116,16 @@ def matching_round(edges: DataFrame, work: DataFrame, cap: float, salt: int = 0)
     return pick.join(back, ["u", "v"]).where("u < v").select(F.col("u").alias("a"), F.col("v").alias("b"))
 
 
+def paired(near: DataFrame, work: DataFrame, cap: float, vertices: int) -> DataFrame:
+    """a, b: light vertices (at most half of cap) that have the same hub in near (leaf, hub), in pairs of like work; hubs are dealt over buckets
+    of about a thousand vertices."""
+    rows = near.join(work.toDF("leaf", "w"), "leaf").where(F.col("w") <= cap / 2)
+    rows = rows.withColumn("s", F.pmod(F.xxhash64("leaf"), F.lit(1 + vertices // 1000)))
+    place = F.row_number().over(Window.partitionBy("hub", "s").orderBy("w", "leaf"))
+    pairs = rows.withColumn("k", F.floor((place - 1) / 2)).groupBy("hub", "s", "k").agg(F.min("leaf").alias("a"), F.max("leaf").alias("b"))
+    return pairs.where("a < b").select("a", "b")
+
+
 def contract(edges: DataFrame, work: DataFrame, matched: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Coarse edges and work, and the map vid -> coarse id (the lower of a pair)."""
     m = work.select("vid").join(matched.select(F.col("b").alias("vid"), F.col("a").alias("to")), "vid", "left").select("vid", F.coalesce("to", "vid").alias("coarse"))
@@ -219,30 +231,33 @@ def cut_arrays(n: int, u: np.ndarray, v: np.ndarray, w: np.ndarray, work: np.nda
 def multilevel(fg: FactorGraph, parts: int, updates: DataFrame | None = None, gamma: float = 1.03, seed: int = 42, c_comm: float = 1.0, driver_vertices: int = DRIVER_VERTICES) -> DataFrame:
     """vid, piece of a weighted k-way cut: coarsen on the cluster, cut the coarse graph on the driver, project back, refine.
 
-    Only a graph of at most ``driver_vertices`` vertices comes to the driver. updates makes the cut an informed one.
+    Only a graph of at most ``driver_vertices`` vertices (or 20 a part) comes to the driver: coarsening goes on until it is that small, which it
+    gets, as less than two vertices a part are too heavy to be paired. Edges between so many vertices are counted before they are fetched
+    and the lightest-matched graph is coarsened on while there are more than ``DRIVER_EDGES``. updates makes the cut an informed one.
     """
     edges = cut(edge_cost(fg, updates, c_comm).select(F.least("fid", "vid").alias("u"), F.greatest("fid", "vid").alias("v"), F.col("cost").alias("w")))
     work = cut(vertex_work(fg, updates).withColumn("work", F.greatest("work", F.lit(1e-9))))
     total = work.agg(F.sum("work")).first()[0] or 0.0
     cap, maps, levels = 1.5 * total / max(1, parts), [], []
     n = work.count()
-    while n > max(driver_vertices, 20 * parts):
+    while n > max(driver_vertices, 20 * parts) or (n > 20 * parts and edges.count() > DRIVER_EDGES):
         coarse_edges, coarse_work, to = contract(edges, work, cut(matching_round(edges, work, cap, len(maps))))
         maps.append(cut(to))
         levels.append((edges, work))
         edges, work = cut(coarse_edges), cut(coarse_work)
         m = work.count()
-        if m > 0.97 * n:  # hubs: leaves that share a neighbour pair up instead
+        if m > 0.97 * n:  # hubs: leaves that share a neighbour, or have none, pair up instead; where that does not help either, any light vertices
             two_hop = edges.select(F.col("u").alias("hub"), F.col("v").alias("leaf")).unionByName(edges.select(F.col("v").alias("hub"), F.col("u").alias("leaf")))
-            first = two_hop.groupBy("leaf").agg(F.min("hub").alias("hub")).join(work.toDF("leaf", "w"), "leaf").where(F.col("w") <= cap / 2)
-            k = F.row_number().over(Window.partitionBy("hub", F.pmod(F.xxhash64("leaf"), F.lit(64))).orderBy("w", "leaf"))
-            pairs = first.withColumn("k", k).groupBy("hub", F.pmod(F.xxhash64("leaf"), F.lit(64)).alias("s"), F.floor((F.col("k") - 1) / 2)).agg(F.min("leaf").alias("a"), F.max("leaf").alias("b"))
-            coarse_edges, coarse_work, to = contract(edges, work, cut(pairs.where("a < b").select("a", "b")))
-            maps.append(cut(to))
-            levels.append((edges, work))
-            edges, work = cut(coarse_edges), cut(coarse_work)
-            if work.count() > 0.97 * m:
-                break
+            every = work.select(F.col("vid").alias("leaf"))
+            least = every.join(two_hop.groupBy("leaf").agg(F.min("hub").alias("hub")), "leaf", "left").select("leaf", F.coalesce("hub", F.lit(-1)).alias("hub"))
+            for near in (least, every.withColumn("hub", F.lit(-1))):
+                coarse_edges, coarse_work, to = contract(edges, work, cut(paired(near, work, cap, m)))
+                maps.append(cut(to))
+                levels.append((edges, work))
+                edges, work = cut(coarse_edges), cut(coarse_work)
+                k = work.count()
+                if k <= 0.97 * m:
+                    break
         n = work.count()
     vs, es = work.orderBy("vid").toArrow(), edges.toArrow()
     ids = vs.column("vid").to_numpy()

@@ -40,8 +40,8 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """df with its lineage cut by a reliable checkpoint."""
+def checkpointed(df: DataFrame) -> DataFrame:
+    """df with its lineage cut by a reliable checkpoint. Its partitioning, and what the optimizer knows of its columns, stay known."""
     ship(df.sparkSession)
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
@@ -49,6 +49,13 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def cut(df: DataFrame) -> DataFrame:
+    """df with its lineage cut by a reliable checkpoint, as a plan of one scan: for loops. What the optimizer infers of columns (which are equal,
+    which are not null) is kept with a checkpoint and grows to twice as much from one round of a loop to the next; here it is dropped."""
+    done, spark = checkpointed(df)._jdf, df.sparkSession
+    return type(df)(spark._jsparkSession.internalCreateDataFrame(done.queryExecution().toRdd(), done.schema(), False), spark)
+
+
 def landed(df: DataFrame, name: str) -> tuple[DataFrame, str]:
     """df written to the shared folder and read back, and its path: for loops, as nothing of the plan before remains, on disk or in memory."""
     spark = df.sparkSession

@@ -1,7 +1,10 @@
 """The engine on small graphs and the smallest tables."""
 
+import time
+
 import numpy as np
 import pytest
+from pyspark.sql import Window
 
 from factorgraph_spark.operators import baselines, block_bp, exact, partition, sync_bp
 from factorgraph_spark.operators.kernel import BPConfig
@@ -92,10 +95,95 @@ def test_gibbs_chains_agree_with_exact(spark):
         assert max(abs(got[k] - want[k]) for k in want) < 0.04
 
 
-def test_only_mail_is_shuffled_by_content(spark):
-    g = gallery.returns_mln(spark, SMALL)
-    text = g.variables._jdf.queryExecution().toString()
-    assert "ReadSchema" in text and "l_comment" not in text
+def test_only_mail_is_shuffled(spark):
+    g = gallery.conversation_chains(spark, SMALL)
+    cfg = BPConfig(damping=0.0, beta=1e-8, send_every=1, pass_share=0.0)
+    r = block_bp.resume(block_bp.Result(g, block_bp.place(g, partition.hash_parts(g, 6), cfg)), cfg, max_rounds=2)
+    assert r.mail_bytes and not r.converged
+    plan = block_bp.superstep(r.state, r.mail, r.mail_bytes, cfg)._jdf.queryExecution().executedPlan().toString()
+    # One exchange, of the mail; states are scanned where they are and joined by a broadcast.
+    assert plan.count("Exchange hashpartitioning(") == 1 and "BroadcastHashJoin" in plan and "kind=state" not in plan.split("Exchange hashpartitioning(")[1].split("FileScan")[0]
+    assert plan.count("FileScan parquet") == 2 and "SortMergeJoin" not in plan
+
+
+def test_rounds_take_even_time_and_mail_beyond_the_bound_is_shuffled(spark, monkeypatch):
+    g = gallery.conversation_chains(spark, SMALL)
+    cfg = BPConfig(damping=0.0, beta=1e-9, send_every=1, pass_share=0.0)
+    run = lambda: block_bp.resume(block_bp.Result(g, block_bp.place(g, partition.hash_parts(g, 3), cfg)), cfg, max_rounds=24)
+    r = run()
+    ends = sorted({x["seconds"] for x in r.rounds})
+    took = np.diff([0.0, *ends])
+    assert len(took) == 24 and np.median(took[-6:]) < 2.5 * np.median(took[2:8])
+    monkeypatch.setattr(block_bp, "BROADCAST_MAIL", -1)
+    counts = lambda x: sorted((y["round"], y["block"], y["vertex_updates"], y["sent"], y["received"]) for y in x.rounds if y["round"] < 5)
+    cfg2 = cfg
+    other = block_bp.resume(block_bp.Result(g, block_bp.place(g, partition.hash_parts(g, 3), cfg2)), cfg2, max_rounds=5)
+    assert counts(other) == counts(r)
+
+
+def test_reduced_evidence_equals_clamped(spark):
+    g = gallery.literal(spark, [[0.0, 0.3], [0.0, 0.0], [0.2, 0.0, 0.1], [0.0, 0.4]], [([0, 1], potts(2, 0.7)), ([1, 2, 3], [0.1 * k for k in range(12)]), ([2, 0], [0.3, 0.0, 0.1, 0.5, 0.0, 0.2]), ([1], [0.0, 0.3])])
+    seen = spark.createDataFrame([(2, 1), (4, 2), (6, None)], "vid long, state int")
+    left = g.with_evidence(seen, "reduce")
+    assert not [r for r in left.validate().collect() if r["violations"]]
+    clamped, reduced = (table(exact.enumerate_all(x)) for x in (g.with_evidence(seen), left))
+    assert {k[0] for k in reduced} == {0, 6} and all(abs(reduced[k] - clamped[k]) < 1e-9 for k in reduced)
+    with pytest.raises(ValueError):
+        g.with_evidence(seen, "drop")
+
+
+def test_coarsening_goes_on_until_the_driver_can_take_it(spark):
+    g = gallery.literal(spark, [[0.0, 0.0]] * 120, [([0, k], potts(2, 0.1)) for k in range(1, 60)])  # a star, and variables without a factor
+    placed = partition.multilevel(g, 2, driver_vertices=30).collect()
+    assert len({r["vid"] for r in placed}) == len(placed) == g.variables.count() + g.edges.select("fid").distinct().count()
+    assert {r["piece"] for r in placed} <= {0, 1}
+
+
+def test_streams_equal_their_batch_twins(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    from factorgraph_spark.streaming import evidence
+
+    e = spark.read.parquet(f"{SMALL}/events.parquet").orderBy("ts").withColumn("part", F.floor(F.percent_rank().over(Window.orderBy("ts")) * 3.999))
+    for k in range(4):
+        e.where(F.col("part") == k).drop("part").coalesce(1).write.mode("append").parquet(f"{tmp_path}/events")
+        time.sleep(1.1)  # files are taken in order of their time
+    batch = spark.read.parquet(f"{tmp_path}/events").withColumn("ts", F.col("ts").cast("timestamp"))
+    key = lambda df: sorted(map(str, df.collect()))
+    for f in (evidence.tumbling_counts, evidence.sliding_counts, evidence.session_counts):
+        assert key(evidence.drained(f(evidence.read_events(spark, f"{tmp_path}/events")), "complete")) == key(f(batch))
+    # Appended windows are those that the watermark has passed, each once and final.
+    final = key(evidence.drained(evidence.tumbling_counts(evidence.read_events(spark, f"{tmp_path}/events")), "append"))
+    assert 0 < len(final) == len(set(final)) and set(final) <= set(key(evidence.tumbling_counts(batch)))
+    twice = evidence.read_events(spark, f"{tmp_path}/events")
+    assert evidence.drained(evidence.first_seen(twice.unionByName(twice)).select("event_id")).count() == batch.count()
+    assert evidence.late_rows(batch, "2024-01-02 00:00:00").agg(F.sum("late")).first()[0] == batch.where("ts < '2024-01-02'").count()
+
+
+def test_forward_filter_equals_recursion(spark, tmp_path):
+    from factorgraph_spark.streaming import evidence
+
+    e = spark.read.parquet(f"{SMALL}/events.parquet")
+    e.coalesce(1).write.parquet(f"{tmp_path}/events")
+    got = {(r["event_id"], r["state"]): r["belief"] for r in evidence.drained(evidence.forward_filter(evidence.read_events(spark, f"{tmp_path}/events"))).collect()}
+    like, pair = np.array(gallery.emission()), np.exp(np.array(potts(3, gallery.STICKY)).reshape(3, 3))
+    state = {}
+    for r in sorted(e.collect(), key=lambda r: (r["ts"], r["event_id"])):
+        p = state.get(r["user_id"], np.ones(3)) * like[:, gallery.EVENT_TYPES.index(r["event_type"])]
+        p /= p.sum()
+        assert all(abs(got[r["event_id"], k] - p[k]) < 1e-9 for k in range(3))
+        state[r["user_id"]] = p @ pair
+    assert len(got) == 3 * e.count()
+
+
+def test_functions_of_the_sql_surface(spark):
+    from factorgraph_spark.functions import surface
+
+    surface.register(spark)
+    r = spark.sql("SELECT bp_lse(array(0.0D, 0.0D)) AS a, bp_norm(array(1.0D, 1.0D)) AS b, bp_l1(array(0.0D, -700.0D), array(-700.0D, 0.0D)) AS c").first()
+    assert abs(r["a"] - np.log(2)) < 1e-12 and np.allclose(r["b"], -np.log(2)) and abs(r["c"] - 2) < 1e-12
+    p = spark.sql("SELECT bp_product(m) AS p FROM VALUES (array(0.0D, 1.0D)), (array(1.0D, 0.5D)) AS t(m)").first()["p"]
+    assert np.allclose(p, np.exp([1.0, 1.5]) / np.exp([1.0, 1.5]).sum())
 
 
 def test_workloads_are_sound(spark):
