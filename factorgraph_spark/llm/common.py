@@ -13,9 +13,11 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from ..shipping import ship
-from ..sources.tables import cut, forget, fresh_path, landed, table
+from ..sources.tables import checkpointed as cut
+from ..sources.tables import cut as cut_plan
+from ..sources.tables import forget, fresh_path, landed, table
 
-__all__ = ["SPACE", "cut", "forget", "fresh_path", "landed", "lower_ascii", "ship", "strings", "table", "tidy", "utf8"]
+__all__ = ["SPACE", "cut", "cut_plan", "forget", "fresh_path", "landed", "lower_ascii", "ship", "strings", "table", "tidy", "utf8"]
 
 #: White space that separates words, as a character class for Java and Python patterns.
 SPACE = r"\x20\x09-\x0D"

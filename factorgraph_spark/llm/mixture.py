@@ -22,7 +22,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SPACE, cut
+from .common import SPACE
+from .common import cut_plan as cut
 
 #: Weights that sources get in turn.
 WEIGHTS = (3, 1, 2)
@@ -97,6 +98,7 @@ def multipliers(cells: DataFrame, targets: DataFrame, *, most: float = MOST, pul
     cap = F.when(bound, F.lit(float(most))).otherwise(most - (most - F.col("target") / F.col("held")) / 4)
     state = state.withColumn("solved", bound | (F.col("target") <= 0)).withColumn("level", F.when(bound, F.lit(700.0)).when(F.col("target") <= 0, F.lit(-700.0)).otherwise(F.log(F.col("target") / F.col("mass"))))
     state = cut(state.select("source", "target", cap.alias("cap"), ((1 - pull) * F.col("mean")).alias("goal"), "solved", "level", *[zero.alias(c) for c in ("slope", "d_level", "d_slope")], F.lit(float("inf")).alias("error")))
+    few = state.count() <= FEW_SOURCES
     for _ in range(NEWTON_ROUNDS):
         if not state.where(~F.col("solved") & (F.col("error") > EXACT)).limit(1).count():
             break
@@ -104,7 +106,7 @@ def multipliers(cells: DataFrame, targets: DataFrame, *, most: float = MOST, pul
         names = ("dual", "met", "moment", "h", "hz", "hzz")
         sums = [c.alias(f"{n}{k}") for k, step in enumerate(STEPS) for n, c in zip(names, _sums(step))]
         keys = ("target", "cap", "goal", "level", "slope", "d_level", "d_slope")
-        found = _with_sources(used.withColumnRenamed("source", "cs"), open_.withColumnRenamed("of", "source"), "cs").groupBy("source", *keys).agg(*sums)
+        found = _with_sources(used.withColumnRenamed("source", "cs"), open_.withColumnRenamed("of", "source"), "cs", few).groupBy("source", *keys).agg(*sums)
         tried = []
         for k, step in enumerate(STEPS):
             level, slope = F.col("level") + step * F.col("d_level"), F.col("slope") + step * F.col("d_slope")
@@ -126,9 +128,9 @@ def multipliers(cells: DataFrame, targets: DataFrame, *, most: float = MOST, pul
     return state.select("source", "level", "slope", "cap", F.lit(center).alias("center"), F.lit(scale).alias("scale"), F.when(F.col("solved"), zero).otherwise(F.col("error")).alias("error"))
 
 
-def _with_sources(docs: DataFrame, sources: DataFrame, key: str) -> DataFrame:
-    """docs joined with one row per source: broadcast while sources are few."""
-    few = sources.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES
+def _with_sources(docs: DataFrame, sources: DataFrame, key: str, few: bool | None = None) -> DataFrame:
+    """docs joined with one row per source: broadcast while sources are few (counted unless the caller knows)."""
+    few = few if few is not None else sources.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES
     return docs.join(F.broadcast(sources) if few else sources, F.col(key).eqNullSafe(F.col("source"))).drop(key)
 
 
