@@ -92,11 +92,13 @@ def _features(rows: DataFrame, suffixes: dict[str, tuple[float, float]]) -> Data
 
 
 def fit(rows: DataFrame):
-    """Trees and suffix statistics from rows (u, host, path, settled); None for the trees if the labels are all alike."""
-    order = (F.xxhash64("u"), F.col("u"))
-    sample = cut(rows.where("settled is not null").select("u", "host", "path", (F.col("settled.verdict") == "block").cast("double").alias("label")).orderBy(*order).limit(SAMPLE_URLS).coalesce(1))
+    """Trees and suffix statistics from rows (u, host, path, settled); None for the trees if the labels are all alike. Trees are fitted on at most
+    SAMPLE_URLS different URLs; suffix statistics count all settled rows, of the SUFFIXES most frequent suffixes."""
+    settled = rows.where("settled is not null").select("u", "host", "path", (F.col("settled.verdict") == "block").cast("double").alias("label"))
+    each = settled.groupBy("u", "host", "path", "label").agg(F.count(F.lit(1)).alias("n"))  # a URL counts once, however many rows it has
+    sample = cut(each.drop("n").orderBy(F.xxhash64("u"), "u").limit(SAMPLE_URLS).coalesce(1))
     last = F.element_at(F.split("host", r"\."), -1)
-    kept = sample.groupBy(last.alias("s")).agg(F.sum("label").alias("b"), F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "s").limit(SUFFIXES).collect()
+    kept = settled.groupBy(last.alias("s")).agg(F.sum("label").alias("b"), F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "s").limit(SUFFIXES).collect()
     total = sum(r["n"] for r in kept) or 1
     suffixes = {r["s"]: ((r["b"] + 1) / (r["n"] + 2), r["n"] / total) for r in kept if r["s"]}
     labels = sample.agg(F.min("label"), F.max("label")).first()

@@ -435,6 +435,15 @@ def test_urls(spark):
     assert len(rows(url_filter.op7(pages.where("page_id > 10000").where("url is null")))) == 1
 
 
+def test_one_frequent_url_does_not_fill_the_sample(spark, monkeypatch):
+    monkeypatch.setattr(url_filter, "SAMPLE_URLS", 40)
+    made = [(k, f"http://a{k}.org/p{k}") for k in range(30)] + [(100 + k, f"http://b{k}.com/de/{'9' * 12}{k}") for k in range(30)]
+    often = [(1000 + k, "http://zz.org/x") for k in range(400)]
+    asked = [(5000, "http://q.net/p3"), (5001, f"http://q.net/de/{'9' * 14}")]
+    out = {r["page_id"]: r for r in url_filter.judge(spark.createDataFrame(made + often + asked, "page_id long, url string")).collect()}
+    assert 0 <= out[5000]["p_block"] < out[5001]["p_block"] <= 1
+
+
 def test_warc(spark, tmp_path):
     odd = [(1, "u", None), (2, "u\r\nx", ""), (3, None, "a\r\n\r\nWARC/1.1\r\nContent-Length: 9\r\n\r\n"), (4, "v", "ü"), (7, "v", "ü"), (5, "v", "ü"), (5, "v", "ü")]
     pages = spark.createDataFrame([(*r, 1, "d") for r in odd], "page_id long, url string, html string, id long, digest string")
