@@ -23,6 +23,12 @@ def by_message(old: DataFrame, new: DataFrame) -> DataFrame:
     return message_change(old, new).groupBy("vid").agg(F.max("delta").alias("residual"))
 
 
+def inbound(rows: DataFrame) -> DataFrame:
+    """The same from the ends of a tracked step (``pairwise``, gathered), which know their changes."""
+    found = rows.groupBy("vid").agg(F.min("code").alias("least"), F.max("delta").alias("residual"))
+    return found.where("least < 0 and residual is not null").drop("least")
+
+
 def naive(before: DataFrame, after: DataFrame) -> DataFrame:
     """vid, residual: L1 distance of the belief (vid, state, belief) from that at the last update."""
     both = before.withColumnRenamed("belief", "b").join(after, ["vid", "state"])
