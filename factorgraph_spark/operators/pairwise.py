@@ -61,12 +61,12 @@ def tables(fg: FactorGraph, width: int) -> DataFrame:
     return F.broadcast(found.select("code", "to", *[F.coalesce(F.exp(c), F.lit(0.0)).alias(c) for c in cells]))
 
 
-def others(rows: DataFrame, width: int, prefix: str = "r", out: str = "v") -> DataFrame:
-    """rows (gathered) with v1, ...: prior and messages of all other factors. Rows of what is no variable of the graph are dropped."""
+def others(rows: DataFrame, width: int, of: tuple[tuple[str, str], ...] = (("r", "v"),)) -> DataFrame:
+    """rows (gathered) with v1, ...: prior and messages of all other factors. Rows of what is no variable of the graph are dropped. of: prefixes of what is summed and of what comes out."""
     at = Window.partitionBy("vid")
-    sums = rows.select("*", F.min("code").over(at).alias("least"), *[F.sum(c).over(at).alias(f"_{c}") for c in named(prefix, width)])
-    kept = sums.where("least < 0")
-    return kept.select(*rows.columns, *[(F.col(f"_{a}") - F.col(a)).alias(b) for a, b in zip(named(prefix, width), named(out, width))])
+    pairs = [(a, b) for x, y in of for a, b in zip(named(x, width), named(y, width))]
+    sums = rows.select("*", F.min("code").over(at).alias("least"), *[F.sum(a).over(at).alias(f"_{a}") for a, _ in pairs])
+    return sums.where("least < 0").select(*rows.columns, *[(F.col(f"_{a}") - F.col(a)).alias(b) for a, b in pairs])
 
 
 def _answer(rows: DataFrame, width: int, into: str, v: str = "v") -> DataFrame:
@@ -114,7 +114,7 @@ def step(rows: DataFrame, values: DataFrame, width: int, tracked: bool = False,
     r, q, o, b, n = (named(p, width) for p in "rqobn")
     fid = ["fid"] if "fid" in rows.columns else []
     if tracked and "q1" not in rows.columns:
-        rows = others(others(rows, width, "o", "w"), width).join(values, "code", "left")
+        rows = others(rows, width, (("r", "v"), ("o", "w"))).join(values, "code", "left")
         rows = _mixed(_answer(rows, width, "q", "w"), width, "q", "b", damping, space)
     else:
         rows = others(rows, width).join(values, "code", "left")
